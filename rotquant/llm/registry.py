@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+from .packing import op7_packing
 from .tokens import op1_token_counts
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts,)}
+    return {f.__name__: f for f in (op1_token_counts, op7_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
