@@ -5,10 +5,12 @@ from __future__ import annotations
 from .packing import op7_packing
 from .tokens import op1_token_counts
 
+from .topk import OP8_SQL, op8_topk
+
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op7_packing)}
+    return {f.__name__: f for f in (op1_token_counts, op7_packing, op8_topk)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_topk": OP8_SQL}
