@@ -17,7 +17,7 @@ from bisect import bisect_right
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_slices
+from .common import map_slices, written
 from .wordbpe import encoder, public_path
 
 #: Lengths that share one row of the coarse level of the suffix sums.
@@ -43,7 +43,7 @@ def length_histogram(lengths: DataFrame, col: str = "n_tokens") -> DataFrame:
     length; quantile: share of documents no longer than it. Sums are made in two levels,
     spans of lengths and lengths in a span, so no task reads the whole histogram.
     """
-    h = lengths.groupBy(F.col(col).alias("length")).agg(F.count("*").alias("n_docs"))
+    h = written(lengths.groupBy(F.col(col).alias("length")).agg(F.count("*").alias("n_docs")))  # both levels read it; texts are encoded once
     h = h.withColumn("span", F.floor(F.col("length") / SPAN)).withColumn("tok", F.col("length") * F.col("n_docs"))
     after = Window.orderBy(F.desc("span")).rowsBetween(Window.unboundedPreceding, -1)
     every = Window.partitionBy()
