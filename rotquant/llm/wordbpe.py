@@ -9,11 +9,10 @@ whose case or class the fast path does not cover goes to the library whole.
 from __future__ import annotations
 
 import re
-from itertools import chain
 
 #: Characters on which Python's lower() and split() agree with the tokenizer's normaliser.
 _PLAIN = re.compile(r"[^\x20-\x7e\n\t\rÀ-ÖØ-öø-ÿ]")
-CACHE_WORDS = 500_000
+CACHE_WORDS = 800_000
 
 
 def public_path(name: str = "word_bpe_49k.json") -> str:
@@ -22,6 +21,24 @@ def public_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+class Words(dict):
+    """Ids by word. A word not known yet gets a place that is filled once it is encoded."""
+
+    def __init__(self):
+        self.marks: dict[str, bytes] = {}
+        self.waiting: dict[str, bytearray] = {}
+
+    def __missing__(self, word: str) -> bytes | bytearray:
+        mark = self.marks.get(word[-1])
+        if mark is not None and word[:-1].isalpha():  # letters and marks are encoded apart
+            stem = self[word[:-1]]
+            if type(stem) is bytes:
+                return stem + mark
+        if word not in self.waiting:
+            self.waiting[word] = bytearray()
+        return self.waiting[word]
+
+
 class WordEncoder:
     def __init__(self, path: str):
         import os
@@ -32,7 +49,8 @@ class WordEncoder:
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = True
         self.batch = getattr(self.tok, "encode_batch_fast", self.tok.encode_batch)
-        self.cache: dict[str, bytes] = {}
+        self.words = Words()
+        self.words.marks = dict(zip(".,;:!?", self._ids(list(".,;:!?"))))
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         from array import array
@@ -41,19 +59,17 @@ class WordEncoder:
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text; null is the empty text."""
-        plain = [t is not None and not _PLAIN.search(t) for t in texts]
-        words = [t.lower().split() if p else [] for t, p in zip(texts, plain)]
-        cache = self.cache
-        new = list(set(chain.from_iterable(words)).difference(cache))
-        got = dict(zip(new, self._ids(new)))
-        if len(cache) + len(got) <= CACHE_WORDS:
-            cache.update(got)
-            look = cache.__getitem__
-        else:
-            look = lambda w, a=cache.get, b=got.get: a(w) or b(w) or b""
-        odd = [i for i, p in enumerate(plain) if not p and texts[i]]
+        words = self.words
+        look = words.__getitem__
+        found = [list(map(look, t.lower().split())) if t and not _PLAIN.search(t) else None for t in texts]
+        new, words.waiting = words.waiting, {}
+        for place, ids in zip(new.values(), self._ids(list(new))):
+            place[:] = ids
+        if len(words) + len(new) <= CACHE_WORDS:
+            words.update((w, bytes(v)) for w, v in new.items())
+        odd = [i for i, x in enumerate(found) if x is None and texts[i]]
         whole = dict(zip(odd, self._ids([texts[i] for i in odd])))
-        return [b"".join(map(look, ws)) if p else whole.get(i, b"") for i, (ws, p) in enumerate(zip(words, plain))]
+        return [whole.get(i, b"") if x is None else b"".join(x) for i, x in enumerate(found)]
 
 
 _encoders: dict[str, WordEncoder] = {}
