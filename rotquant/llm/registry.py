@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from .decontaminate import op3_decontamination
+from .neardup import op6_near_duplicates
 from .packing import op7_packing
 from .tokens import op1_token_counts
 
@@ -9,7 +11,7 @@ from .topk import OP8_SQL, op8_topk
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op7_packing, op8_topk)}
+    return {f.__name__: f for f in (op1_token_counts, op3_decontamination, op6_near_duplicates, op7_packing, op8_topk)}
 
 
 def oracle_sql() -> dict[str, str]:
