@@ -5,13 +5,14 @@ from __future__ import annotations
 from .decontaminate import op3_decontamination
 from .neardup import op6_near_duplicates
 from .packing import op7_packing
+from .pii import op9_pii
 from .tokens import op1_token_counts
 
 from .topk import OP8_SQL, op8_topk
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op3_decontamination, op6_near_duplicates, op7_packing, op8_topk)}
+    return {f.__name__: f for f in (op1_token_counts, op3_decontamination, op6_near_duplicates, op7_packing, op8_topk, op9_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
