@@ -14,7 +14,6 @@ table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
-import hashlib
 import re
 import unicodedata
 
@@ -22,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import map_slices, table
+from .spans import digests
 
 KINDS = ("email", "ip", "card", "phone")
 
@@ -234,15 +234,6 @@ def personal_data(docs: DataFrame) -> DataFrame:
     return map_slices(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), kinds, start)
 
 
-def digests(found: DataFrame, kinds: tuple[str, ...]) -> DataFrame:
-    """The contract's columns from a spans array: counts and digest of plain spans, and all spans."""
-    base = F.filter("spans", lambda s: s["plain"])
-    text = lambda a: F.array_join(F.transform(a, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
-    return found.select(
-        "doc_id", *(F.size(F.filter(base, lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{k}") for k in kinds),
-        F.sha2(text(base).cast("binary"), 256).alias("base_sha256"), text(F.col("spans")).alias("spans"),
-    )
-
-
 def op9_pii(spark, sf_dir: str) -> DataFrame:
-    return digests(personal_data(table(spark, sf_dir, "documents", "doc_id", "text")), KINDS)
+    found = personal_data(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return digests(found, F.filter("spans", lambda s: s["plain"]), "spans", KINDS)
