@@ -6,6 +6,7 @@ from .decontaminate import op3_decontamination
 from .neardup import op6_near_duplicates
 from .packing import op7_packing
 from .pii import op9_pii
+from .quality import op2_quality
 from .secrets import op5_secrets
 from .tokens import op1_token_counts
 
@@ -13,7 +14,7 @@ from .topk import OP8_SQL, op8_topk
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op3_decontamination, op5_secrets, op6_near_duplicates, op7_packing, op8_topk, op9_pii)}
+    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_decontamination, op5_secrets, op6_near_duplicates, op7_packing, op8_topk, op9_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
