@@ -7,13 +7,13 @@
    frequency, all but need - 1 of them, can be the first that two sketches share: only
    these are listed, which leaves common passages and word pairs out. Values that occur in one
    sketch only are never listed.
-3. In each list every member is paired with two members that the whole corpus ranks lowest
-   and highest in a random order, not with every other. The union sketch estimates a
-   pair's resemblance, and full sets confirm it: links are exact.
-4. Links are contracted to components. Members of a list that are still in different
-   components are then compared with each other: short lists by a join, long ones in blocks
-   of sketches inside one task a block pair, of which only pairs that pass the
-   estimate come out. Their confirmed links complete the components.
+3. In each list every member is paired with the member that leads it, and a random one, not
+   with every other. The union sketch estimates a pair's resemblance, and full sets
+   confirm it: links are exact.
+4. Links are contracted to components. Where members under one leader are still in
+   different components, they are compared in blocks by a wider sketch, one task a pair of
+   blocks, out of which only pairs that pass come. Their confirmed links complete the
+   components.
 
 So copies are never expanded into all pairs, and a link between different texts is lost
 only if the sketch estimate of a pair errs by more than ``DEVIATIONS`` standard deviations;
@@ -40,9 +40,9 @@ from .shingles import shingle_set
 
 SKETCH = 64
 DEVIATIONS = 5.5
-#: Longest list that a join compares; longer ones are compared in blocks.
-SHORT = 64
-BLOCK = 512
+#: Retained values, and members of a block, where what is left is compared in blocks.
+WIDE = 256
+BLOCK = 128
 #: Most ids of candidates that are broadcast to pick their texts; more are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -73,7 +73,7 @@ def sketches(docs: DataFrame, n: int, k: int) -> DataFrame:
 
 
 def listed(classes: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """(value, cid, n): the inverted lists, of two members at least."""
+    """(value, cid, n, weight): the inverted lists; weight tells how much a member's values are shared."""
     post = classes.select("cid", "n", F.size("sketch").alias("s"), F.explode("sketch").alias("value"))
     often = post.groupBy("value").agg(F.count("*").alias("freq")).where("freq > 1")
     shared = post.join(often, "value")
@@ -82,7 +82,9 @@ def listed(classes: DataFrame, k: int, num: int, den: int) -> DataFrame:
     ranked = shared.withColumn("r", F.row_number().over(by)).withColumn("c", F.count("*").over(Window.partitionBy("cid")))
     exact = F.ceil(F.col("n") * num / den)
     need = F.when(F.col("n") * den <= k * num, exact).otherwise(F.lit(needed(k, num, den)))
-    return ranked.where(F.col("r") + F.col("s") - F.col("c") <= F.col("s") - need + 1).select("value", "cid", "n")
+    weight = F.sum("freq").over(Window.partitionBy("cid"))
+    ranked = ranked.withColumn("weight", weight)
+    return ranked.where(F.col("r") + F.col("s") - F.col("c") <= F.col("s") - need + 1).select("value", "cid", "n", "weight")
 
 
 def _sizes_fit(num: int, den: int):
@@ -101,12 +103,17 @@ def estimated(pairs: DataFrame, classes: DataFrame, k: int, num: int, den: int)
     return j.where(F.when(F.col("whole"), both * den >= F.size("u") * num).otherwise(both >= needed(k, num, den))).select("a", "b")
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """The pairs whose full sets reach the threshold."""
-    ids = written(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct())
+def _texts_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """(doc_id, text) of these documents. Ids are broadcast up to a bound, so that texts stay where they are."""
+    ids = written(ids.distinct())
     few = ids.count() <= BROADCAST_IDS
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    texts = texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+    return texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+
+
+def confirmed(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
+    """The pairs whose full sets reach the threshold."""
+    texts = _texts_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")))
 
     def sets():
         return lambda c: {"doc_id": c["doc_id"], "set": [shingle_set(t, n).tobytes() for t in c["text"]]}
@@ -128,54 +135,75 @@ def confirmed(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) ->
     return map_slices(j, "a long, b long", compare)
 
 
-def to_leaders(lists: DataFrame) -> DataFrame:
-    """Each member with two members of its list (and size band) that a random order ranks first and last."""
-    band = F.floor(F.log(F.col("n").cast("double")) / math.log(1.25))
-    x = lists.withColumn("band", band)
-    rank = F.xxhash64("cid")
-    ends = x.groupBy("value", "band").agg(F.min(F.struct(rank, "cid")).alias("lo"), F.max(F.struct(rank, "cid")).alias("hi"))
-    j = x.join(ends, ["value", "band"]).select("cid", F.explode(F.array("lo.cid", "hi.cid")).alias("o")).where("cid != o")
+def led(lists: DataFrame) -> DataFrame:
+    """lists with each list's leader, the member whose retained values are shared most, and a random member.
+
+    The copy closest to what a group has in common leads it, so that most of the group is
+    within the threshold of its leader. A member shares the list, and so the leader, with
+    each of its candidates: leaders stand for lists from here on, and a member has few of them.
+    """
+    ends = lists.groupBy("value").agg(F.max(F.struct("weight", "cid")).alias("best"), F.min(F.struct(F.xxhash64("cid"), "cid")).alias("any"))
+    return lists.join(ends.select("value", F.col("best.cid").alias("leader"), F.col("any.cid").alias("other")), "value").select("cid", "n", "leader", "other").distinct()
+
+
+def to_leaders(members: DataFrame) -> DataFrame:
+    j = members.select("cid", F.explode(F.array("leader", "other")).alias("o")).where("cid != o")
     return j.select(F.least("cid", "o").alias("a"), F.greatest("cid", "o").alias("b")).distinct()
 
 
-def still_apart(lists: DataFrame, comp: DataFrame, classes: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """Pairs of members of one list that no link has yet joined and the estimate allows."""
-    x = lists.join(comp, lists["cid"] == comp["node"], "left").select("value", "cid", "n", F.coalesce("component", "cid").alias("comp"))
-    mixed = x.groupBy("value").agg(F.count("*").alias("size"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 != c1").select("value", "size")
-    x = written(x.join(mixed, "value"))
-    one = lambda s: x.where(F.col("size") <= SHORT).select("value", F.col("cid").alias(s), F.col("n").alias(f"n{s}"), F.col("comp").alias(f"c{s}"))
-    short = one("a").join(one("b"), "value").where("a < b AND ca != cb").where(_sizes_fit(num, den)).select("a", "b").distinct()
-    short = estimated(short, classes, k, num, den)
+def still_apart(members: DataFrame, comp: DataFrame, docs: DataFrame, words: int, num: int, den: int, k: int = WIDE) -> DataFrame:
+    """Pairs under one leader that no link has yet joined and a wider sketch allows.
+
+    Members are dealt to blocks, and a pair of blocks is one group: its sketches are
+    compared as one product of 0/1 matrices. Sets that fit into the wide sketch are compared exactly, and
+    of their links only those come out that join parts which are still apart.
+    """
+    x = members.select("leader", "cid", "n").distinct().join(comp, F.col("cid") == F.col("node"), "left").select("leader", "cid", "n", F.coalesce("component", "cid").alias("comp"))
+    apart = x.groupBy("leader").agg(F.count("*").alias("size"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 != c1").select("leader", "size")
+    x = written(x.join(apart, "leader"))
+    texts = _texts_of(docs, x.select(F.col("cid").alias("doc_id")))
+
+    def wide():
+        return lambda c: {"cid": c["doc_id"], "sketch": [shingle_set(t, words)[:k] for t in c["text"]]}
 
-    # members of a long list in blocks; a block pair is one group
+    sketch = written(map_slices(texts, "cid long, sketch array<long>", wide))
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    long = x.where(F.col("size") > SHORT).join(classes.select("cid", "sketch"), "cid").withColumn("mine", F.pmod(F.xxhash64("cid"), blocks).cast("int"))
-    keyed = long.select("value", "cid", "n", "comp", "sketch", "mine", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other")).select(
-        "value", "cid", "n", "comp", "sketch", "mine", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j")
-    )
+    x = x.join(sketch, "cid").withColumn("mine", F.pmod(F.xxhash64("cid"), blocks).cast("int")).withColumn("theirs", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    keyed = x.select("leader", "cid", "n", "comp", "sketch", "mine", F.least("mine", "theirs").alias("i"), F.greatest("mine", "theirs").alias("j"))
     need = needed(k, num, den)
 
     def run(t: pa.Table) -> pa.Table:
         cid, n, comp, mine = (t.column(m).to_numpy() for m in ("cid", "n", "comp", "mine"))
-        rows = np.array([len(s) for s in t.column("sketch").to_pylist()])
-        flat = np.concatenate([np.asarray(s, dtype=np.int64) for s in t.column("sketch").to_pylist()])
-        _, at = np.unique(flat, return_inverse=True)
+        sketches = t.column("sketch").combine_chunks()
+        rows = np.diff(sketches.offsets.to_numpy())
+        _, at = np.unique(sketches.flatten().to_numpy(), return_inverse=True)
         hot = np.zeros((len(cid), int(at.max()) + 1), dtype=np.float32)
         hot[np.repeat(np.arange(len(cid)), rows), at] = 1
         i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
         left, right = np.flatnonzero(mine == i), np.flatnonzero(mine == j)
         both = hot[left] @ hot[right].T
-        least = np.where(n * den <= k * num, np.ceil(n * num / den), need)
-        ok = (both >= np.minimum(least[left][:, None], least[right][None, :])) & (comp[left][:, None] != comp[right][None, :])
-        ok &= np.minimum(n[left][:, None], n[right][None, :]) * den >= np.maximum(n[left][:, None], n[right][None, :]) * num
+        na, nb = n[left][:, None], n[right][None, :]
+        whole = (na <= k) & (nb <= k)
+        ok = np.where(whole, den * both >= num * (na + nb - both), both >= need)
+        ok &= (comp[left][:, None] != comp[right][None, :]) & (np.minimum(na, nb) * den >= np.maximum(na, nb) * num)
         p, q = np.nonzero(ok)
-        a, b = cid[left[p]], cid[right[q]]
-        if i == j:
-            a, b = a[a < b], b[a < b]
-        return pa.table({"a": pa.array(np.minimum(a, b)), "b": pa.array(np.maximum(a, b))})
+        out, top = [], {}
+
+        def root(c):
+            while (up := top.get(c, c)) != c:
+                c = up
+            return c
+
+        for p, q, sure in sorted(zip(p.tolist(), q.tolist(), whole[p, q].tolist()), key=lambda z: not z[2]):
+            a, b = int(left[p]), int(right[q])
+            u, v = root(int(comp[a])), root(int(comp[b]))
+            if u != v:  # joined by links that are sure: nothing to add
+                out.append((min(int(cid[a]), int(cid[b])), max(int(cid[a]), int(cid[b]))))
+                if sure:
+                    top[max(u, v)] = min(u, v)
+        return pa.table({"a": pa.array([a for a, _ in out], type=pa.int64()), "b": pa.array([b for _, b in out], type=pa.int64())})
 
-    blocked = keyed.groupBy("value", "i", "j").applyInArrow(run, "a long, b long").distinct()
-    return short.unionByName(estimated(blocked, classes, k, num, den)).distinct()
+    return keyed.groupBy("leader", "i", "j").applyInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, k: int = SKETCH) -> DataFrame:
@@ -186,11 +214,10 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
         some.groupBy("digest").agg(F.min("doc_id").alias("cid"), F.min_by(F.struct("n_shingles", "sketch"), "doc_id").alias("x"))
         .select("digest", "cid", F.col("x.n_shingles").alias("n"), F.col("x.sketch").alias("sketch"))
     )
-    lists = written(listed(classes, k, num, den))
-    links = written(confirmed(estimated(to_leaders(lists), classes, k, num, den), docs, words, num, den))
+    members = written(led(listed(classes, k, num, den)))
+    links = written(confirmed(written(estimated(to_leaders(members), classes, k, num, den)), docs, words, num, den))
     comp = components(links)
-    apart = written(still_apart(lists, comp, classes, k, num, den))
-    more = confirmed(apart, docs, words, num, den)
+    more = confirmed(written(still_apart(members, comp, docs, words, num, den)), docs, words, num, den)
     # stars of the first components and the new links, contracted again
     comp = components(comp.select(F.col("component").alias("a"), F.col("node").alias("b")).unionByName(more))
     named = classes.join(comp, classes["cid"] == comp["node"], "left").select("digest", F.coalesce("component", "cid").alias("component"))
