@@ -228,5 +228,20 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
     )
 
 
+def one_of_each(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+    """docs with the first document of each class, and all their columns."""
+    seen = written(near_duplicates(docs, words, num, den).select("doc_id", "kept"))
+    gone = seen.where(~F.col("kept")).select("doc_id").distinct()
+    twice = seen.where("kept AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("k")).where("k > 1").select("doc_id")
+    few = lambda x: F.broadcast(x) if x.count() <= BROADCAST_IDS else x
+    key = F.col("doc_id").cast("long")
+    kept = docs.withColumn("__id", key).join(few(gone.withColumnRenamed("doc_id", "__id")), "__id", "left_anti")
+    twice = written(twice.withColumnRenamed("doc_id", "__id"))
+    if twice.limit(1).count():  # rows that repeat an id: one of them
+        again = kept.join(few(twice), "__id", "left_semi").dropDuplicates(["__id"])
+        kept = kept.join(few(twice), "__id", "left_anti").unionByName(again)
+    return kept.select(docs.columns)
+
+
 def op6_near_duplicates(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"), words=2)
