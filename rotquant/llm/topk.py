@@ -2,7 +2,8 @@
 
 Candidates are dealt to shards of bounded size and queries to blocks of bounded size; each
 (shard, block) pair is one group. In a group every dimension is a list of its candidates
-sorted by component. A query reads each list from the end its own sign prefers, a stretch at a time.
+sorted by component. A query reads each list from the end its own sign prefers, a stretch
+at a time.
 What has been read gives a candidate's lower bound (the rest of its dimensions at the worst
 value of their lists) and upper bound (the rest at the lists' present fronts). Reading stops
 when no candidate outside the best k can reach the k-th lower bound; the lists are then
@@ -25,66 +26,72 @@ from pyspark.sql import functions as F
 from .common import table, written
 
 SHARD_ROWS = 4096
-BLOCK_ROWS = 512
+BLOCK_ROWS = 1024
 #: Shares of each list that have been read when bounds are compared.
-STRETCHES = (0.5, 0.75, 0.9, 1.0)
+STRETCHES = (0.75, 0.85, 0.92, 1.0)
 
 
 class SortedLists:
-    """One list per dimension over the candidates of a shard."""
+    """One list per dimension over the candidates of a shard.
 
-    def __init__(self, vectors: np.ndarray):
-        self.vectors = vectors
-        self.order = np.argsort(vectors, axis=0, kind="stable")
-        self.sorted = np.take_along_axis(vectors, self.order, axis=0)
-        self.low, self.high = self.sorted[0], self.sorted[-1]
+    What a query has read of a list is a share from one of its ends, and the end depends on
+    the sign of the query's component only. So each stretch has two tables of what its read and
+    unread entries are worth at least, and two of what they are worth at most, and the
+    bounds of all queries of a block are products with their positive and negative parts.
+    """
 
-    def top(self, query: np.ndarray, ids: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray, float]:
-        """Ids and scores of the k best candidates other than own; share of entries read."""
+    def __init__(self, vectors: np.ndarray):
+        n = len(vectors)
+        order = np.argsort(vectors, axis=0, kind="stable")
+        rank = np.empty_like(order)
+        np.put_along_axis(rank, order, np.broadcast_to(np.arange(n)[:, None], order.shape), axis=0)
+        self.vectors, self.rank, self.sorted = vectors, rank, np.take_along_axis(vectors, order, axis=0)
+
+    def bounds(self, share: float, kind) -> tuple[np.ndarray, np.ndarray]:
+        """Tables for lower and upper bounds once this share of every list is read."""
+        x, n = self.vectors, len(self.vectors)
+        upto = min(n, int(np.ceil(share * n)))
+        from_top, from_bottom = self.rank >= n - upto, self.rank < upto
+        low, high = self.sorted[0], self.sorted[-1]
+        front_top, front_bottom = self.sorted[n - upto], self.sorted[upto - 1]
+        pair = lambda a, b: np.hstack([np.where(from_top, x, a), np.where(from_bottom, x, b)]).astype(kind).T
+        return pair(low, high), pair(front_top, front_bottom)
+
+    def top(self, queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, k: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
+        """(ids, scores) of each query's k best candidates other than itself; shares read."""
         n, d = self.vectors.shape
-        up = query > 0
-        worst = np.where(up, query * self.low, query * self.high).astype(np.float64)
-        dims = np.flatnonzero(query)
-        lower = np.full(n, worst.sum())  # what is unread counts at its list's worst value
-        seen = np.zeros((n, d), dtype=np.float32)
-        lower[ids == own] = -np.inf
-        done = 0
-        front = np.zeros(d)
-        alive = np.ones(n, dtype=bool)
-        for share in STRETCHES:
-            upto = max(done, min(n, int(np.ceil(share * n))))
-            if upto == done and done < n:
-                continue
-            for j in dims:
-                if up[j]:
-                    rows, values = self.order[n - upto : n - done, j], self.sorted[n - upto : n - done, j]
-                    front[j] = query[j] * self.sorted[n - upto, j]
-                else:
-                    rows, values = self.order[done:upto, j], self.sorted[done:upto, j]
-                    front[j] = query[j] * self.sorted[upto - 1, j]
-                lower[rows] += query[j] * values - worst[j]
-                seen[rows, j] = 1
-            done = upto
-            if done >= n or n <= k:
-                continue
-            kth = np.partition(lower, n - k)[n - k]
-            # upper = lower + (front - worst) of every unread dimension
-            gap = front - worst
-            upper = lower + (gap.sum() - seen @ gap.astype(np.float32).astype(np.float64))
-            alive = upper >= kth - 1e-3
-            if alive.sum() <= max(4 * k, n // 16):
+        largest = float(np.abs(self.vectors).max(initial=0)) * float(np.abs(queries).max(initial=0)) * d
+        kind = np.float32 if largest < 2**24 else np.float64  # sums of whole numbers stay exact
+        signed = np.hstack([np.maximum(queries, 0), np.minimum(queries, 0)]).astype(kind)
+        own = query_ids[:, None] == ids[None, :]
+        out: list = [None] * len(queries)
+        read = np.ones(len(queries))
+        left = np.arange(len(queries))
+        for share in STRETCHES if n > k + 1 else (1.0,):
+            lower_table, upper_table = self.bounds(share, kind)
+            lower = signed[left] @ lower_table
+            lower[own[left]] = -np.inf
+            if share < 1:
+                kth = np.partition(lower, n - k, axis=1)[:, n - k]
+                upper = signed[left] @ upper_table
+                upper[own[left]] = -np.inf
+                alive = upper >= kth[:, None]
+                done = alive.sum(axis=1) <= max(4 * k, n // 16)
+            else:
+                alive, done = np.isfinite(lower), np.ones(len(left), dtype=bool)
+                if n > k:
+                    alive &= lower >= np.partition(lower, n - k, axis=1)[:, n - k, None]
+            for r in np.flatnonzero(done):
+                q = left[r]
+                cand = np.flatnonzero(alive[r])
+                # the rest of their entries, as the lists give them
+                score = lower[r, cand].astype(np.int64) if share == 1 else self.vectors[cand] @ queries[q]
+                best = np.lexsort((ids[cand], -score))[:k]
+                out[q], read[q] = (ids[cand][best], score[best]), share
+            left = left[~done]
+            if not len(left):
                 break
-        cand = np.flatnonzero(alive & (ids != own))
-        if done < n:  # the rest of their entries, as the lists give them
-            score = self.vectors[cand] @ query
-        else:
-            score = lower[cand].round().astype(np.int64)
-        if len(cand) > k:  # ties of the k-th score go on to the ids
-            edge = np.partition(score, len(cand) - k)[len(cand) - k]
-            keep = score >= edge
-            cand, score = cand[keep], score[keep]
-        best = np.lexsort((ids[cand], -score))[:k]
-        return ids[cand][best], score[best], done / max(n, 1)
+        return out, read
 
 
 def whole_components(vectors: DataFrame, scale: int) -> DataFrame:
@@ -108,23 +115,22 @@ def top_k(vectors: DataFrame, is_query, k: int = 20, scale: int = 64, shard_rows
     cands = rows.select(F.pmod(spread, F.lit(shards)).cast("int").alias("shard"), every(blocks).alias("block"), "vec_id", "v")
     asks = rows.where("q").select(every(shards).alias("shard"), F.pmod(spread, F.lit(blocks)).cast("int").alias("block"), "vec_id", "v")
 
+    def split(t: pa.Table) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+        """Ids and vectors by width."""
+        v = t.column("v").combine_chunks()
+        ids, width, flat = t.column("vec_id").to_numpy(), np.diff(v.offsets.to_numpy()), v.flatten().to_numpy()
+        at = np.repeat(width, width)
+        return {int(w): (ids[width == w], flat[at == w].reshape(-1, w)) for w in np.unique(width)}
+
     def run(_, left: pa.Table, right: pa.Table) -> pa.Table:
-        out = {"query_id": [], "vec_id": [], "score": []}
-        by_width: dict[int, tuple[list, list]] = {}
-        for at, t in enumerate((left, right)):
-            for i, v in zip(t.column("vec_id").to_pylist(), t.column("v").to_pylist()):
-                by_width.setdefault(len(v), ([], []))[at].append((i, v))
-        for cand, asked in by_width.values():
-            if not cand or not asked:
-                continue
-            ids = np.array([i for i, _ in cand], dtype=np.int64)
-            lists = SortedLists(np.array([v for _, v in cand], dtype=np.int64))
-            for q, v in asked:
-                got, score, _ = lists.top(np.array(v, dtype=np.int64), ids, q, k)
-                out["query_id"] += [q] * len(got)
-                out["vec_id"] += got.tolist()
-                out["score"] += score.tolist()
-        return pa.table({n: pa.array(x, type=pa.int64()) for n, x in out.items()})
+        rows = [(np.empty(0, np.int64),) * 3]
+        have = split(left) if len(left) and len(right) else {}
+        for w, (query_ids, queries) in (split(right) if have else {}).items():
+            if w in have:
+                ids, vectors = have[w]
+                got, _ = SortedLists(vectors).top(queries, query_ids, ids, k)
+                rows += [(np.full(len(i), q), i, s) for q, (i, s) in zip(query_ids, got)]
+        return pa.table({n: pa.array(np.concatenate(x), type=pa.int64()) for n, x in zip(("query_id", "vec_id", "score"), zip(*rows))})
 
     won = (
         cands.groupBy("shard", "block").cogroup(asks.groupBy("shard", "block")).applyInArrow(run, "query_id long, vec_id long, score long")
