@@ -2,11 +2,10 @@
 
 1. A text's shingles are hashed once; the k smallest hashes are its sketch. Texts with equal
    sets are one class, for which its smallest id stands from here on.
-2. Inverted lists of the retained values give candidates. A linked pair shares at least
-   ``need`` retained values, so in each sketch only the values that come first in order of
-   frequency, all but need - 1 of them, can be the first that two sketches share: only
-   these are listed, which leaves common passages and word pairs out. Values that occur in one
-   sketch only are never listed.
+2. Inverted lists give candidates. At a threshold of 0.8 retained values are common to both
+   sketches so often that some ``RUN`` of them follow each other in both: in sets that fit
+   into the sketch always, in others but for a chance of about 1e-10. Lists are named by such
+   runs, so a common word pair makes no list, and a common passage only where it fills much of a text.
 3. In each list every member is paired with the member that leads it, and a random one, not
    with every other. The union sketch estimates a pair's resemblance, and full sets
    confirm it: links are exact.
@@ -39,6 +38,8 @@ from .components import components
 from .shingles import shingle_set
 
 SKETCH = 64
+#: Values that follow each other in both sketches of a linked pair; sets up to SMALL may have one fewer.
+RUN, SMALL = 3, 5
 DEVIATIONS = 5.5
 #: Retained values, and members of a block, where what is left is compared in blocks.
 WIDE = 256
@@ -72,19 +73,23 @@ def sketches(docs: DataFrame, n: int, k: int) -> DataFrame:
     return map_slices(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), kinds, start)
 
 
-def listed(classes: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """(value, cid, n, weight): the inverted lists; weight tells how much a member's values are shared."""
-    post = classes.select("cid", "n", F.size("sketch").alias("s"), F.explode("sketch").alias("value"))
+def listed(classes: DataFrame, num: int, den: int) -> DataFrame:
+    """(value, cid, n, weight): the inverted lists of two members at least.
+
+    A list is named by a run of retained values that follow each other in the sketch. weight
+    tells how much a member's runs are shared.
+    """
+    run = max(1, min(RUN, num // (den - num) - 1)) if num < den else RUN
+
+    def runs(length: int):
+        last = F.greatest(F.lit(1), F.size("sketch") - (length - 1))
+        return F.transform(F.sequence(F.lit(1), last), lambda i: F.xxhash64(F.slice("sketch", i, F.lit(length))))
+
+    # in sets this small, linked ones may share a shorter run only
+    keys = F.when(F.col("n") <= SMALL, F.concat(*[runs(r) for r in range(max(1, run - 1), run + 1)])).otherwise(runs(run))
+    post = classes.select("cid", "n", F.explode(keys).alias("value"))
     often = post.groupBy("value").agg(F.count("*").alias("freq")).where("freq > 1")
-    shared = post.join(often, "value")
-    by = Window.partitionBy("cid").orderBy("freq", "value")
-    # values of one sketch only come first in the order of frequency
-    ranked = shared.withColumn("r", F.row_number().over(by)).withColumn("c", F.count("*").over(Window.partitionBy("cid")))
-    exact = F.ceil(F.col("n") * num / den)
-    need = F.when(F.col("n") * den <= k * num, exact).otherwise(F.lit(needed(k, num, den)))
-    weight = F.sum("freq").over(Window.partitionBy("cid"))
-    ranked = ranked.withColumn("weight", weight)
-    return ranked.where(F.col("r") + F.col("s") - F.col("c") <= F.col("s") - need + 1).select("value", "cid", "n", "weight")
+    return post.join(often, "value").withColumn("weight", F.sum("freq").over(Window.partitionBy("cid"))).select("value", "cid", "n", "weight")
 
 
 def _sizes_fit(num: int, den: int):
@@ -214,7 +219,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 1
         some.groupBy("digest").agg(F.min("doc_id").alias("cid"), F.min_by(F.struct("n_shingles", "sketch"), "doc_id").alias("x"))
         .select("digest", "cid", F.col("x.n_shingles").alias("n"), F.col("x.sketch").alias("sketch"))
     )
-    members = written(led(listed(classes, k, num, den)))
+    members = written(led(listed(classes, num, den)))
     links = written(confirmed(written(estimated(to_leaders(members), classes, k, num, den)), docs, words, num, den))
     comp = components(links)
     more = confirmed(written(still_apart(members, comp, docs, words, num, den)), docs, words, num, den)
