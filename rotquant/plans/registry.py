@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from . import tasks  # noqa: F401  (registers its queries)
 from .workloads import QUERIES, SQL
 
 
