@@ -56,8 +56,9 @@ def sample_block(p: int, d: int, n: int, seed: int) -> np.ndarray:
     return z / np.sqrt((z * z).sum(axis=1) + rest)[:, None]
 
 
-def nearest(z: np.ndarray, book: np.ndarray, tile: int = 1 << 22) -> np.ndarray:
+def nearest(z: np.ndarray, book: np.ndarray, tile: int = 1 << 22, kind=np.float64) -> np.ndarray:
     """Index of the closest point of book to each row of z, in tiles of bounded size."""
+    z, book = z.astype(kind, copy=False), book.astype(kind, copy=False)
     half = (book * book).sum(axis=1) / 2
     step = max(1, tile // len(book))
     out = np.empty(len(z), dtype=np.int64)
@@ -83,7 +84,7 @@ def _start(d: int, p: int, b: int, z: np.ndarray) -> np.ndarray:
 
 
 #: Draws and rounds of the fit, by the number of centroids.
-FIT = ((64, 40_000, 40), (512, 60_000, 20), (1 << 62, 120_000, 8))
+FIT = ((64, 60_000, 40), (512, 300_000, 25), (1 << 62, 240_000, 10))
 
 
 @lru_cache(maxsize=64)
@@ -95,7 +96,7 @@ def ball_block(d: int, p: int, b: int, seed: int = 0) -> np.ndarray:
     n, rounds = next((n, r) for top, n, r in FIT if k <= top)
     z = sample_block(p, d, n // 2, seed)
     z = np.concatenate([z, -z])
-    starts = [_start(d, p, b, z)] + [spread_start(z, k, seed + i) for i in range(4 if k <= 64 else 0)]
+    starts = [_start(d, p, b, z)] * (k <= 64) + [spread_start(z, k, seed + i) for i in range(4 if k <= 64 else 1)]
     book = min((lloyd(z, s, rounds) for s in starts), key=lambda x: x[0])[1]
     return book[np.lexsort(book.T[::-1])]
 
@@ -103,7 +104,7 @@ def ball_block(d: int, p: int, b: int, seed: int = 0) -> np.ndarray:
 def spread_start(z: np.ndarray, k: int, seed: int) -> np.ndarray:
     """Draws picked one by one with chances that grow with their distance to those picked before."""
     g = np.random.default_rng([seed, k])
-    z = z[:: max(1, len(z) // 8000)]
+    z = z[:: max(1, len(z) // max(8000, 6 * k))]
     out = [z[g.integers(len(z))]]
     far = ((z - out[0]) ** 2).sum(axis=1)
     for _ in range(k - 1):
@@ -116,7 +117,7 @@ def lloyd(z: np.ndarray, book: np.ndarray, rounds: int) -> tuple[float, np.ndarr
     """(cost, centroids) after rounds of assignment and means, or once the cost stands still."""
     last = math.inf
     for _ in range(rounds):
-        code = nearest(z, book)
+        code = nearest(z, book, kind=np.float32)
         s, m = means(z, code, len(book))
         away = ((z - book[code]) ** 2).sum(axis=1)
         cost = float(away.mean())
