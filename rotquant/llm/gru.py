@@ -184,11 +184,11 @@ class TextScorer:
         return np.concatenate([self.net.forward(gates, at[i : i + 2048]) for i in range(0, len(at), 2048)]), owner
 
     def scores(self, texts: list[str | None]) -> list[float]:
-        """The highest window's probability; a text without words has that of an empty window, 0."""
+        """The highest window's probability; 0 for a text without words."""
         logit, owner = self.window_logits([t.split() if t else [] for t in texts])
         best = np.full(len(texts), -np.inf)
         np.maximum.at(best, owner, logit)
-        return (1 / (1 + np.exp(-np.clip(best, -60, 60)))).tolist() if len(texts) else []
+        return np.where(np.isfinite(best), 1 / (1 + np.exp(-np.clip(best, -60, 60))), 0.0).tolist()
 
 
 def train(texts: list[str], labels: list[int], rounds: int = 7, steps: int = 50, batch: int = 128, rate: float = 0.015, seed: int = 7) -> Network:

@@ -10,7 +10,7 @@ region covers and where it begins and ends in the source.
 Texts are only mapped; the index is of fixed size (the templates given). Defined cases: null or
 empty texts and templates match nothing; a repeated notice is reported at each place; repeated
 documents each report; very long texts are scanned whole; overlapping matches are reported
-once, by the template that covers more characters; an empty table gives an empty result; other
+once, by the template with most matching less missing characters; an empty table gives an empty result; other
 columns are ignored.
 """
 
@@ -126,7 +126,7 @@ class Templates:
             share = n / len(own)
             if n and share >= self.coverage:
                 found.append((n, share, k, spans[lo + a][0], spans[lo + b][1]))
-        found.sort(key=lambda x: (-sum(self.chars[x[2]]) * x[1], x[3], x[2]))
+        found.sort(key=lambda x: (-sum(self.chars[x[2]]) * (2 * x[1] - 1), x[3], x[2]))  # characters that match, less those that miss
         kept: list[tuple] = []
         for x in found:
             if all(x[4] <= y[3] or y[4] <= x[3] for y in kept):
