@@ -250,3 +250,31 @@ def one_of_each(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100)
 
 def op6_near_duplicates(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"), words=2)
+
+
+OP6_SQL = """
+WITH RECURSIVE w AS (
+  SELECT CAST(doc_id AS BIGINT) AS doc_id, list_filter(string_split(translate(coalesce(text, ''),
+    'ABCDEFGHIJKLMNOPQRSTUVWXYZ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13), 'abcdefghijklmnopqrstuvwxyz     '), ' '), lambda x: x <> '') AS ws
+  FROM documents
+), s AS (
+  SELECT doc_id, list_sort(list_distinct(CASE WHEN len(ws) < 2 THEN ws ELSE list_transform(range(1, len(ws)), lambda i: ws[i] || ' ' || ws[i + 1]) END)) AS sh FROM w
+), c AS (
+  SELECT sh, min(doc_id) AS rep, len(sh) AS n FROM s WHERE len(sh) > 0 GROUP BY sh
+), x AS (
+  SELECT rep, n, unnest(sh) AS v FROM c
+), p AS (
+  SELECT a.rep AS a, b.rep AS b, a.n AS na, b.n AS nb, count(*) AS shared
+  FROM x a JOIN x b ON a.v = b.v AND a.rep < b.rep AND least(a.n, b.n) * 100 >= greatest(a.n, b.n) * 80 GROUP BY 1, 2, 3, 4
+), e AS (
+  SELECT a, b FROM p WHERE 100 * shared >= 80 * (na + nb - shared)
+), g AS (
+  SELECT a, b FROM e UNION ALL SELECT b, a FROM e
+), r(rep, comp) AS (
+  SELECT rep, rep FROM c UNION SELECT g.b, r.comp FROM r JOIN g ON g.a = r.rep
+), m AS (
+  SELECT rep, min(comp) AS comp FROM r GROUP BY rep
+)
+SELECT s.doc_id, CAST(len(s.sh) AS BIGINT) AS n_shingles, coalesce(m.comp, s.doc_id) AS component_id, coalesce(m.comp, s.doc_id) = s.doc_id AS kept
+FROM s LEFT JOIN c ON c.sh = s.sh AND len(s.sh) > 0 LEFT JOIN m ON m.rep = c.rep
+"""

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from .decontaminate import op3_decontamination
 from .licences import op10_licences
-from .neardup import op6_near_duplicates
+from .neardup import OP6_SQL, op6_near_duplicates
 from .packing import op7_packing
 from .pii import op9_pii
 from .quality import op2_quality
@@ -20,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_topk": OP8_SQL}
+    return {"op6_near_duplicates": OP6_SQL, "op8_topk": OP8_SQL}
