@@ -9,24 +9,26 @@ from pyspark.sql import functions as F
 TYPES = ("click", "error", "purchase", "signup", "view")
 
 
+def _timed(events: DataFrame, late: str | None) -> DataFrame:
+    """Streams get a watermark, which needs an instant: times without a zone are in the session's."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late) if late else events
+
+
 def tumbling(events: DataFrame, size: str, late: str | None = None) -> DataFrame:
     """Counts and means by window and type; a stream says how late a row may be."""
-    e = events.withWatermark("ts", late) if late else events
-    return e.groupBy(F.window("ts", size), "event_type").agg(F.count("*").alias("n"), F.avg("value").alias("mean"))
+    return _timed(events, late).groupBy(F.window("ts", size), "event_type").agg(F.count("*").alias("n"), F.avg("value").alias("mean"))
 
 
 def sliding(events: DataFrame, size: str, step: str, late: str | None = None) -> DataFrame:
-    e = events.withWatermark("ts", late) if late else events
-    return e.groupBy(F.window("ts", size, step), "event_type").agg(F.count("*").alias("n"), F.avg("value").alias("mean"))
+    return _timed(events, late).groupBy(F.window("ts", size, step), "event_type").agg(F.count("*").alias("n"), F.avg("value").alias("mean"))
 
 
 def sessions(events: DataFrame, gap: str, late: str | None = None) -> DataFrame:
-    e = events.withWatermark("ts", late) if late else events
-    return e.groupBy("user_id", F.session_window("ts", gap)).agg(F.count("*").alias("n"))
+    return _timed(events, late).groupBy("user_id", F.session_window("ts", gap)).agg(F.count("*").alias("n"))
 
 
 def without_repeats(events: DataFrame, late: str) -> DataFrame:
-    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+    return _timed(events, late).dropDuplicatesWithinWatermark(["event_id"])
 
 
 def event_features(events: DataFrame, *by: str) -> DataFrame:
