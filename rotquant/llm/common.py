@@ -12,6 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+#: Rows that Arrow hands over at once. Texts have no bound, so a batch of Spark's default size may not fit.
+BATCH_ROWS = 1000
 #: Rows handled at once inside a Python worker, whatever the Arrow batch size is.
 SLICE_ROWS = 256
 
@@ -65,6 +67,29 @@ def written(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+_caches: dict[str, Callable[[], None]] = {}
+
+
+def claim(name: str, clear: Callable[[], None] | None = None) -> None:
+    """Says which operator works in this Python worker now: the caches of the others are emptied.
+
+    Workers live on between tasks, and a cache that only another stage uses would take memory from this one.
+    """
+    if clear is not None:
+        _caches[name] = clear
+    for other, empty in _caches.items():
+        if other != name:
+            empty()
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's Arrow batch size to BATCH_ROWS, if it is larger."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(key))
+    if now <= 0 or now > BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def map_slices(
     df: DataFrame,
     schema: str | T.StructType,
@@ -78,6 +103,7 @@ def map_slices(
     """
     out = T._parse_datatype_string(schema) if isinstance(schema, str) else schema
     arrow = to_arrow_schema(out)
+    small_batches(df.sparkSession)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = start()

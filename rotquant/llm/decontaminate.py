@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bytescan import KEY, KeyScan
-from .common import map_slices, table
+from .common import map_slices, small_batches, table
 
 #: One edit is allowed for so many characters of an item.
 CHARS_PER_EDIT = 20
@@ -174,10 +174,9 @@ def benchmark_matches(
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     out = None
     for block in blocks(items, block_chars, block_rows):
-        sent = docs.sparkSession.sparkContext.broadcast(block)  # at most block_chars characters
 
-        def start(sent=sent):
-            m = Matcher(sent.value, chars_per_edit, min_item)
+        def start(block=block):  # at most block_chars characters go with the function
+            m = Matcher(block, chars_per_edit, min_item)
 
             def f(c):
                 rows = [(d, *x) for d, t in zip(c["doc_id"], c["text"]) for x in m.matches(t)]
@@ -193,14 +192,14 @@ def benchmark_matches(
 def without_benchmark(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
     """The documents in which no item occurs, with all their columns."""
     kept = docs
+    small_batches(docs.sparkSession)
     for block in blocks(items, options.pop("block_chars", BLOCK_CHARS), options.pop("block_rows", BLOCK_ITEMS)):
-        sent = docs.sparkSession.sparkContext.broadcast(block)
 
-        def clean(batches, sent=sent):
+        def clean(batches, block=block):
             import pyarrow as pa
             import pyarrow.compute as pc
 
-            m = Matcher(sent.value, **options)
+            m = Matcher(block, **options)
             for b in batches:
                 hit = chain.from_iterable([bool(m.matches(t)) for t in b.column("text").slice(at, 256).to_pylist()] for at in range(0, b.num_rows, 256))
                 yield b.filter(pc.invert(pa.array(list(hit), type=pa.bool_())))

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_slices, table
+from .common import claim, map_slices, small_batches, table
 
 BAD, NONE, GOOD = 0, 1, 2
 #: Frequent short words of the languages that are served.
@@ -128,7 +128,7 @@ class VoteModel:
 
 DIMENSIONS = 4096
 SAMPLE = 4096
-CACHE_WORDS = 400_000
+CACHE_WORDS = 150_000
 _SHAPES = ((re.compile(r"[^\W\d_]*[a-zà-öø-ÿ][^\W\d_]*"), "a"), (re.compile(r"[^\W\d_]{2,}"), "A"), (re.compile(r"\d+"), "0"))
 
 
@@ -194,6 +194,7 @@ class Scorer:
         self.weights, self.bias = weights, bias
 
     def worker(self):
+        claim("quality")
         cache = Weights(self.weights)
         look, at, bias = cache.__getitem__, self.weights.tolist().__getitem__, self.bias
 
@@ -221,6 +222,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE) -> tuple[VoteModel, Scorer]:
         some = texts.where(F.pmod(F.xxhash64("text"), F.lit(1 << 20)) < math.ceil((1 << 20) * min(1.0, 0.8 * sample / total)))
 
     def start():
+        claim("quality")
         cache = Slots()
 
         def f(c):
@@ -259,6 +261,7 @@ def quality_scores(docs: DataFrame, fitted: tuple[VoteModel, Scorer] | None = No
 def good_documents(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
     """The documents that the scorer keeps, with all their columns."""
     _, scorer = fit(docs)
+    small_batches(docs.sparkSession)
 
     def keep(batches):
         import pyarrow as pa

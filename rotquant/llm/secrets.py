@@ -65,7 +65,7 @@ def _places(text: Column, pattern: str, value: int | None) -> Column:
 
 
 def marked(docs: DataFrame) -> DataFrame:
-    """docs with base (pattern spans) and cands (tokens to test)."""
+    """docs with __base (pattern spans) and __cands (tokens to test)."""
     t = F.coalesce(F.col("text").cast("string"), F.lit(""))
 
     def kind(k: str, found: Column) -> Column:
@@ -74,7 +74,7 @@ def marked(docs: DataFrame) -> DataFrame:
     assign = kind("assign", F.filter(_places(t, ASSIGN, 2), lambda s: F.length(s["value"]) >= 6))
     base = F.concat(assign, kind("access", _places(t, ACCESS, None)), kind("hex", _places(t, HEX, None)))
     cands = F.transform(_places(t, TOKEN, None), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["token"].alias("token")))
-    return docs.withColumn("base", F.array_sort(base)).withColumn("cands", cands)
+    return docs.withColumn("__base", F.array_sort(base)).withColumn("__cands", cands)
 
 
 def _tail(z: Column) -> Column:
@@ -157,33 +157,33 @@ def thresholds(tests: DataFrame, rate: float) -> list[int]:
 
 
 def _discovered(slim: DataFrame, rate: float) -> DataFrame:
-    """rid and the random tokens' spans."""
-    tests = written(tested(slim.select("rid", F.inline("cands"))))
+    """__rid and the random tokens' spans."""
+    tests = written(tested(slim.select(F.col("__rid").alias("rid"), F.inline("__cands"))))
     least = F.lit(BUCKETS + 1)
     for i, b in enumerate(thresholds(tests, rate)):
         least = F.when(F.col("length_class") == i, F.lit(b)).otherwise(least)
     one = F.struct("start", F.lit(KINDS.index("random")).alias("rank"), F.lit("random").alias("kind"), "end")
-    return tests.where(F.col("bucket") >= least).groupBy("rid").agg(F.collect_list(one).alias("found"))
+    return tests.where(F.col("bucket") >= least).groupBy(F.col("rid").alias("__rid")).agg(F.collect_list(one).alias("__found"))
 
 
 def _with_spans(slim: DataFrame, rate: float) -> DataFrame:
-    """slim with spans: the pattern spans and the discoveries that overlap none of them."""
-    found = F.coalesce(F.col("found"), F.array().cast(_SPAN))
-    free = F.filter(found, lambda f: ~F.exists("base", lambda b: (b["start"] < f["end"]) & (f["start"] < b["end"])))
-    return slim.join(_discovered(slim, rate), "rid", "left").withColumn("spans", F.array_sort(F.concat("base", free))).drop("found", "rid", "cands")
+    """slim with __spans: the pattern spans and the discoveries that overlap none of them."""
+    found = F.coalesce(F.col("__found"), F.array().cast(_SPAN))
+    free = F.filter(found, lambda f: ~F.exists("__base", lambda b: (b["start"] < f["end"]) & (f["start"] < b["end"])))
+    return slim.join(_discovered(slim, rate), "__rid", "left").withColumn("__spans", F.array_sort(F.concat("__base", free))).drop("__found", "__rid", "__cands")
 
 
 def secret_spans(docs: DataFrame, rate: float = 0.01) -> DataFrame:
     """doc_id, base and spans (arrays of start, rank, kind, end) of each row."""
-    slim = written(marked(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")).drop("text").withColumn("rid", F.monotonically_increasing_id()))
-    return _with_spans(slim, rate)
+    slim = written(marked(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")).drop("text").withColumn("__rid", F.monotonically_increasing_id()))
+    return _with_spans(slim, rate).withColumnsRenamed({"__base": "base", "__spans": "spans"})
 
 
 def redacted(docs: DataFrame, rate: float = 0.01, mask: str = "[SECRET]") -> DataFrame:
     """docs with every secret replaced by the mask. Only texts with a candidate leave their task."""
     m = marked(docs)
-    some = (F.size("base") > 0) | (F.size("cands") > 0)
-    slim = written(m.where(some).withColumn("rid", F.monotonically_increasing_id()))
+    some = (F.size("__base") > 0) | (F.size("__cands") > 0)
+    slim = written(m.where(some).withColumn("__rid", F.monotonically_increasing_id()))
     zero = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
 
     def step(acc, s):
@@ -191,11 +191,11 @@ def redacted(docs: DataFrame, rate: float = 0.01, mask: str = "[SECRET]") -> Dat
         more = F.concat(acc["out"], gap, F.when(s["start"] >= acc["at"], F.lit(mask)).otherwise(F.lit("")))
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), more.alias("out"))
 
-    done = F.aggregate("spans", zero, step, lambda a: F.concat(a["out"], F.col("text").substr((a["at"] + 1).cast("int"), F.length("text"))))
-    fixed = _with_spans(slim, rate).withColumn("text", F.when(F.size("spans") > 0, done).otherwise(F.col("text"))).drop("base", "spans")
+    done = F.aggregate("__spans", zero, step, lambda a: F.concat(a["out"], F.col("text").substr((a["at"] + 1).cast("int"), F.length("text"))))
+    fixed = _with_spans(slim, rate).withColumn("text", F.when(F.size("__spans") > 0, done).otherwise(F.col("text"))).drop("__base", "__spans")
     if "n_chars" in docs.columns:
         fixed = fixed.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return m.where(~some).drop("base", "cands").unionByName(fixed.select(docs.columns))
+    return m.where(~some).drop("__base", "__cands").unionByName(fixed.select(docs.columns))
 
 
 def op5_secrets(spark, sf_dir: str) -> DataFrame:

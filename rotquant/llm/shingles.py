@@ -10,7 +10,9 @@ from __future__ import annotations
 import numpy as np
 import xxhash
 
-CACHE_WORDS = 400_000
+from .common import claim
+
+CACHE_WORDS = 200_000
 #: Fixed odd multipliers of the mixing steps (public constants of common 64-bit mixers).
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _MIX1 = np.uint64(0xBF58476D1CE4E5B9)
@@ -28,6 +30,10 @@ class WordHashes(dict):
 _words = WordHashes()
 
 
+def working() -> None:
+    claim("shingles", _words.clear)
+
+
 def mixed(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * _MIX1
     x = (x ^ (x >> np.uint64(27))) * _MIX2

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_slices, table
+from .common import claim, map_slices, table
 from .gru import Network, TextScorer, train
 
 SAMPLE = 4500
@@ -54,6 +54,7 @@ def toxicity(docs: DataFrame, net: Network, threshold: float = THRESHOLD) -> Dat
     sent = docs.sparkSession.sparkContext.broadcast(net.p)  # of fixed size
 
     def start():
+        claim("toxicity")
         own = Network()
         own.p = sent.value
         scorer = TextScorer(own)

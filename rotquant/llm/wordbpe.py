@@ -10,9 +10,11 @@ from __future__ import annotations
 
 import re
 
+from .common import claim
+
 #: Characters on which Python's lower() and split() agree with the tokenizer's normaliser.
 _PLAIN = re.compile(r"[^\x20-\x7e\n\t\rÀ-ÖØ-öø-ÿ]")
-CACHE_WORDS = 800_000
+CACHE_WORDS = 400_000
 
 
 def public_path(name: str = "word_bpe_49k.json") -> str:
@@ -79,4 +81,5 @@ def encoder(path: str) -> WordEncoder:
     """One encoder for each worker process; its cache outlives the task."""
     if path not in _encoders:
         _encoders[path] = WordEncoder(path)
+    claim("encoder", lambda: [e.words.clear() for e in _encoders.values()])
     return _encoders[path]
