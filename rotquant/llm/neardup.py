@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from .common import map_slices, table, written
 from .components import components
-from .shingles import shingle_set
+from .shingles import shingle_set, working
 
 SKETCH = 64
 #: Values that follow each other in both sketches of a linked pair; sets up to SMALL may have one fewer.
@@ -58,6 +58,8 @@ def sketches(docs: DataFrame, n: int, k: int) -> DataFrame:
     """(doc_id, n_shingles, digest, sketch) of each row; digest is null for an empty set."""
 
     def start():
+        working()
+
         def f(c):
             out = {"doc_id": c["doc_id"], "n_shingles": [], "digest": [], "sketch": []}
             for t in c["text"]:
@@ -121,12 +123,15 @@ def confirmed(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) ->
     texts = _texts_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")))
 
     def sets():
+        working()
         return lambda c: {"doc_id": c["doc_id"], "set": [shingle_set(t, n).tobytes() for t in c["text"]]}
 
     full = written(map_slices(texts, "doc_id long, set binary", sets))
     j = pairs.join(full.select(F.col("doc_id").alias("a"), F.col("set").alias("x")), "a").join(full.select(F.col("doc_id").alias("b"), F.col("set").alias("y")), "b")
 
     def compare():
+        working()
+
         def f(c):
             keep = []
             for x, y in zip(c["x"], c["y"]):
@@ -160,20 +165,26 @@ def still_apart(members: DataFrame, comp: DataFrame, docs: DataFrame, words: int
     """Pairs under one leader that no link has yet joined and a wider sketch allows.
 
     Members are dealt to blocks, and a pair of blocks is one group: its sketches are
-    compared as one product of 0/1 matrices. Sets that fit into the wide sketch are compared exactly, and
+    compared as one product of 0/1 matrices. Members of the largest part meet the others only, so the
+    work is the number outside it times the number of all. Sets that fit into the wide sketch are compared exactly, and
     of their links only those come out that join parts which are still apart.
     """
     x = members.select("leader", "cid", "n").distinct().join(comp, F.col("cid") == F.col("node"), "left").select("leader", "cid", "n", F.coalesce("component", "cid").alias("comp"))
-    apart = x.groupBy("leader").agg(F.count("*").alias("size"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 != c1").select("leader", "size")
-    x = written(x.join(apart, "leader"))
+    parts = x.groupBy("leader", "comp").agg(F.count("*").alias("k"))
+    apart = parts.groupBy("leader").agg(F.sum("k").alias("size"), F.max(F.struct("k", "comp")).alias("most"), F.count("*").alias("parts")).where("parts > 1")
+    x = written(x.join(apart.select("leader", (F.col("size") - F.col("most.k")).alias("rest"), F.col("most.k").alias("main"), F.col("most.comp").alias("main_comp")), "leader"))
     texts = _texts_of(docs, x.select(F.col("cid").alias("doc_id")))
 
     def wide():
+        working()
         return lambda c: {"cid": c["doc_id"], "sketch": [shingle_set(t, words)[:k] for t in c["text"]]}
 
     sketch = written(map_slices(texts, "cid long, sketch array<long>", wide))
-    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    x = x.join(sketch, "cid").withColumn("mine", F.pmod(F.xxhash64("cid"), blocks).cast("int")).withColumn("theirs", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    # blocks 0 to b - 1 hold what is outside the largest part, blocks from b on the largest part, whose members need not meet each other
+    b, a = F.ceil(F.col("rest") / BLOCK).cast("int"), F.ceil(F.col("main") / BLOCK).cast("int")
+    inside, at = F.col("comp") == F.col("main_comp"), F.xxhash64("cid")
+    x = x.join(sketch, "cid").withColumn("mine", F.when(inside, b + F.pmod(at, a)).otherwise(F.pmod(at, b)).cast("int"))
+    x = x.withColumn("theirs", F.explode(F.sequence(F.lit(0), F.when(inside, b - 1).otherwise(a + b - 1).cast("int"))))
     keyed = x.select("leader", "cid", "n", "comp", "sketch", "mine", F.least("mine", "theirs").alias("i"), F.greatest("mine", "theirs").alias("j"))
     need = needed(k, num, den)
 
