@@ -28,7 +28,7 @@ from .bytescan import KEY, KeyScan
 from .common import map_slices, small_batches, table
 
 #: One edit is allowed for so many characters of an item.
-CHARS_PER_EDIT = 20
+CHARS_PER_EDIT = 15
 MIN_ITEM = 24
 #: Characters of items and items that are looked for in one pass.
 BLOCK_CHARS = 4_000_000
