@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import tasks  # noqa: F401  (registers its queries)
+from . import reports, tasks  # noqa: F401  (they register their queries)
 from .workloads import QUERIES, SQL
 
 
