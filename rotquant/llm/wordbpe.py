@@ -14,7 +14,7 @@ from .common import claim
 
 #: Characters on which Python's lower() and split() agree with the tokenizer's normaliser.
 _PLAIN = re.compile(r"[^\x20-\x7e\n\t\rÀ-ÖØ-öø-ÿ]")
-CACHE_WORDS = 400_000
+CACHE_WORDS = 700_000
 
 
 def public_path(name: str = "word_bpe_49k.json") -> str:
