@@ -34,7 +34,7 @@ def text_vectors_192(spark, sf_dir) -> DataFrame:
 
 def _recall_text(d: int, bits: tuple[int, ...]):
     def run(spark, sf_dir):
-        v = text_vectors(read_table(spark, sf_dir, "documents", "doc_id", "text"), d)
+        v = text_vectors(read_table(spark, sf_dir, "documents", "doc_id", "text"), d).cache()  # every method reads it
         n = every(sf_dir)
         q, db = v.where(F.col("vec_id") % n == 0), v.where(F.col("vec_id") % n != 0)
         exact, out = exact_topk(q, db, 1), []
