@@ -1,6 +1,8 @@
 import os
 import sys
 
+os.environ.setdefault("OMP_NUM_THREADS", "1")  # small matrices: more BLAS threads only wait for each other
+
 import pytest
 from pyspark.sql import SparkSession
 
