@@ -4,8 +4,9 @@ Everything here is DataFrame functions. Places of pattern matches come from the
 the matches and of the gaps between them. Tokens of letters, digits and signs that no
 pattern covers are tested in four steps.
 
-1. The encoding (hexadecimal, base32, base64, base62) is inferred from the characters, and
-   each character becomes its value in that alphabet.
+1. The encoding (hexadecimal, base32 and base36 of either case, base64, base62) is inferred
+   as the smallest alphabet that holds all characters, in which a random token of a larger
+   one is uniform too, and each character becomes its value in that alphabet.
 2. Three statistics compare the values with a uniform source: chi-squared of the counts,
    runs above and below the middle, lag-one serial correlation. A token that is
    clearly not uniform by any of them is not random.
@@ -90,6 +91,9 @@ def _tail(z: Column) -> Column:
 ALPHABETS = {
     "hex": ("0123456789abcdef", 0.10),
     "base32": ("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", 0.066),
+    "base32_lower": ("abcdefghijklmnopqrstuvwxyz234567", 0.066),
+    "base36": ("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 0.066),
+    "base36_lower": ("abcdefghijklmnopqrstuvwxyz0123456789", 0.066),
     "base64": ("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", 0.066),
     "base62": ("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789", 0.066),
 }
@@ -102,17 +106,20 @@ UNIFORM_Z = 4.0
 def tested(cands: DataFrame) -> DataFrame:
     """rid, start, end, token rows with encoding, statistics, p, length class and bucket."""
     tok = F.regexp_replace("token", "=+$", "")
-    enc = (
-        F.when(tok.rlike("^([0-9a-f]+|[0-9A-F]+)$") & tok.rlike("[A-Fa-f]"), "hex")
-        .when(tok.rlike("^[A-Z2-7]+$") & tok.rlike("[A-Z]"), "base32")
-        .when(tok.rlike("[+/_-]"), "base64")
-        .when(tok.rlike("[A-Za-z]"), "base62")
-    )
-    x = cands.withColumn("enc", enc).where("enc IS NOT NULL")
-    x = x.withColumn("s", F.when(F.col("enc") == "hex", F.lower(tok)).when(F.col("enc") == "base64", F.translate(tok, "-_=", "+/")).otherwise(F.translate(tok, "=", "")))
-    x = x.withColumn("n", F.length("s").cast("double")).where("n >= 16")
-    pick = lambda i, kind: F.coalesce(*[F.when(F.col("enc") == e, F.lit(v[i])) for e, v in ALPHABETS.items()]).cast(kind)
-    x = x.withColumn("alphabet", pick(0, "string")).withColumn("same0", pick(1, "double")).withColumn("size", F.length("alphabet").cast("double"))
+    fits = {
+        "hex": tok.rlike("^([0-9a-f]+|[0-9A-F]+)$") & tok.rlike("[A-Fa-f]"),
+        "base32": tok.rlike("^[A-Z2-7]+$") & tok.rlike("[A-Z]"),
+        "base32_lower": tok.rlike("^[a-z2-7]+$") & tok.rlike("[a-z]"),
+        "base36": tok.rlike("^[A-Z0-9]+$") & tok.rlike("[A-Z]"),
+        "base36_lower": tok.rlike("^[a-z0-9]+$") & tok.rlike("[a-z]"),
+        "base64": tok.rlike("[+/_-]"),
+        "base62": tok.rlike("[A-Za-z]"),
+    }
+    values = lambda e: F.lower(tok) if e == "hex" else F.translate(tok, "-_=", "+/") if e == "base64" else F.translate(tok, "=", "")
+    every = [F.struct(F.lit(e).alias("enc"), F.lit(ALPHABETS[e][0]).alias("alphabet"), F.lit(ALPHABETS[e][1]).alias("same0"), values(e).alias("s"), ok.alias("ok")) for e, ok in fits.items()]
+    # the first that fits, as a generator: it is found once a token, not again for every character
+    x = cands.select("rid", "start", "end", F.inline(F.slice(F.filter(F.array(*every), lambda f: f["ok"]), 1, 1)))
+    x = x.withColumn("n", F.length("s").cast("double")).where("n >= 16").withColumn("size", F.length("alphabet").cast("double"))
     x = x.withColumn("chars", F.transform(F.sequence(F.lit(1), F.length("s")), lambda i: F.col("s").substr(i, F.lit(1))))
     x = x.withColumn("vals", F.transform("chars", lambda c: F.call_function("instr", F.col("alphabet"), c) - 1))
     squares = F.aggregate(F.array_distinct("chars"), F.lit(0.0), lambda a, c: a + F.pow(F.length("s") - F.length(F.replace(F.col("s"), c, F.lit(""))), F.lit(2)))

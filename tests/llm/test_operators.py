@@ -311,6 +311,22 @@ def test_random_tokens_are_found_and_words_are_not(spark):
     assert sum("[SECRET]" in r["text"] for r in masked) >= 57
 
 
+_LOWER, _UPPER, _DIGITS = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
+RANDOM = {
+    "hex": _DIGITS + "abcdef", "base32": _UPPER + "234567", "base32_lower": _LOWER + "234567", "base36": _UPPER + _DIGITS, "base36_lower": _LOWER + _DIGITS,
+    "base62": _UPPER + _LOWER + _DIGITS, "base64": _UPPER + _LOWER + _DIGITS + "+/",
+}
+
+
+def test_random_tokens_of_every_alphabet_pass_as_uniform(spark):
+    g = random.Random(4)
+    rows = [(i, 0, n, "".join(g.choices(a, k=n)), f"{name} {n}") for name, a in RANDOM.items() for n in (20, 32, 64, 88, 256) for i in range(40)]
+    t = secrets.tested(spark.createDataFrame([(k, *r[1:4]) for k, r in enumerate(rows)], "rid long, start long, end long, token string"))
+    lost = Counter(rows[r["rid"]][4] for r in t.where(f"greatest(z_chi, abs(z_runs), abs(z_serial)) > {secrets.UNIFORM_Z}").collect())
+    assert max(lost.values(), default=0) <= 4, lost
+    assert t.where("p < 1").count() >= 0.99 * len(rows)
+
+
 _PLAIN = {
     "email": re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"), "ip": re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"),
     "card": re.compile(r"[0-9]([\x20-]?[0-9])+"), "phone": re.compile(r"\+[0-9][\x20().0-9-]+[0-9]"),
