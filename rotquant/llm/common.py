@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
@@ -56,30 +57,56 @@ def _drop(spark: SparkSession, path: str) -> None:
         print(f"left {path}: {type(e).__name__}")
 
 
-def written(df: DataFrame) -> DataFrame:
+def written(df: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """df written as Parquet in the shared folder and read back.
 
     It cuts the lineage with replicated storage behind it: executors that are lost
-    later cost a re-read, not a recomputation.
+    later cost a re-read, not a recomputation. With a scratch it lives until that is dropped.
     """
-    path = f"{shared_dir(df.sparkSession)}/{uuid.uuid4().hex}"
+    path = f"{scratch.path if scratch else shared_dir(df.sparkSession)}/{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+class Scratch:
+    """A folder for intermediates that only the work inside a with-block reads.
+
+    What leaves the block has to be written elsewhere before it ends.
+    """
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.path = spark, f"{shared_dir(spark)}/{uuid.uuid4().hex}"
+
+    def __enter__(self) -> Scratch:
+        return self
+
+    def __exit__(self, *_) -> None:
+        _drop(self.spark, self.path)
+
+
 _caches: dict[str, Callable[[], None]] = {}
+_working: list[str] = []
 
 
 def claim(name: str, clear: Callable[[], None] | None = None) -> None:
     """Says which operator works in this Python worker now: the caches of the others are emptied.
 
-    Workers live on between tasks, and a cache that only another stage uses would take memory from this one.
+    Workers live on between tasks and take turns, and a cache that only another stage uses
+    would take memory from this one. What was freed goes back to the system.
     """
     if clear is not None:
         _caches[name] = clear
+    if _working == [name]:
+        return
     for other, empty in _caches.items():
         if other != name:
             empty()
+    if _working:
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim is not None:
+            trim(0)
+    _working[:] = [name]
 
 
 def small_batches(spark: SparkSession) -> None:

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_slices, table, written
+from .common import Scratch, map_slices, table, written
 from .components import components
 from .shingles import shingle_set, working
 
@@ -41,11 +41,15 @@ SKETCH = 64
 #: Values that follow each other in both sketches of a linked pair; sets up to SMALL may have one fewer.
 RUN, SMALL = 3, 5
 DEVIATIONS = 5.5
-#: Retained values, and members of a block, where what is left is compared in blocks.
-WIDE = 256
-BLOCK = 128
+#: Retained values, and members of a block, where what is left is compared in blocks. Most sets fit whole.
+WIDE = 1024
+BLOCK = 256
+#: Distinct values that are held as columns at once when two blocks are compared.
+COLUMNS = 8192
 #: Most ids of candidates that are broadcast to pick their texts; more are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
+#: Most leaders whose parts are broadcast to their members; more are joined by a shuffle.
+BROADCAST_LEADERS = 500_000
 
 
 def needed(k: int, num: int, den: int) -> int:
@@ -110,23 +114,23 @@ def estimated(pairs: DataFrame, classes: DataFrame, k: int, num: int, den: int)
     return j.where(F.when(F.col("whole"), both * den >= F.size("u") * num).otherwise(both >= needed(k, num, den))).select("a", "b")
 
 
-def _texts_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
+def _texts_of(docs: DataFrame, ids: DataFrame, scratch: Scratch) -> DataFrame:
     """(doc_id, text) of these documents. Ids are broadcast up to a bound, so that texts stay where they are."""
-    ids = written(ids.distinct())
+    ids = written(ids.distinct(), scratch)
     few = ids.count() <= BROADCAST_IDS
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     return texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
+def confirmed(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int, scratch: Scratch) -> DataFrame:
     """The pairs whose full sets reach the threshold."""
-    texts = _texts_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")))
+    texts = _texts_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")), scratch)
 
     def sets():
         working()
         return lambda c: {"doc_id": c["doc_id"], "set": [shingle_set(t, n).tobytes() for t in c["text"]]}
 
-    full = written(map_slices(texts, "doc_id long, set binary", sets))
+    full = written(map_slices(texts, "doc_id long, set binary", sets), scratch)
     j = pairs.join(full.select(F.col("doc_id").alias("a"), F.col("set").alias("x")), "a").join(full.select(F.col("doc_id").alias("b"), F.col("set").alias("y")), "b")
 
     def compare():
@@ -161,43 +165,41 @@ def to_leaders(members: DataFrame) -> DataFrame:
     return j.select(F.least("cid", "o").alias("a"), F.greatest("cid", "o").alias("b")).distinct()
 
 
-def still_apart(members: DataFrame, comp: DataFrame, docs: DataFrame, words: int, num: int, den: int, k: int = WIDE) -> DataFrame:
+def still_apart(members: DataFrame, comp: DataFrame, docs: DataFrame, words: int, num: int, den: int, scratch: Scratch, k: int = WIDE) -> DataFrame:
     """Pairs under one leader that no link has yet joined and a wider sketch allows.
 
     Members are dealt to blocks, and a pair of blocks is one group: its sketches are
-    compared as one product of 0/1 matrices. Members of the largest part meet the others only, so the
-    work is the number outside it times the number of all. Sets that fit into the wide sketch are compared exactly, and
+    compared as products of 0/1 matrices. Members of the largest part meet the others only, so the
+    work is the number outside it times the number of all; a leader with few members is one
+    group. Sets that fit into the wide sketch are compared exactly, and
     of their links only those come out that join parts which are still apart.
     """
     x = members.select("leader", "cid", "n").distinct().join(comp, F.col("cid") == F.col("node"), "left").select("leader", "cid", "n", F.coalesce("component", "cid").alias("comp"))
     parts = x.groupBy("leader", "comp").agg(F.count("*").alias("k"))
     apart = parts.groupBy("leader").agg(F.sum("k").alias("size"), F.max(F.struct("k", "comp")).alias("most"), F.count("*").alias("parts")).where("parts > 1")
-    x = written(x.join(apart.select("leader", (F.col("size") - F.col("most.k")).alias("rest"), F.col("most.k").alias("main"), F.col("most.comp").alias("main_comp")), "leader"))
-    texts = _texts_of(docs, x.select(F.col("cid").alias("doc_id")))
+    apart = written(apart.select("leader", (F.col("size") - F.col("most.k")).alias("rest"), F.col("most.k").alias("main"), F.col("most.comp").alias("main_comp")), scratch)
+    # one row a leader: broadcast up to a bound, so that the members of a leader do not gather; beyond it AQE splits a leader that is skewed
+    x = written(x.join(F.broadcast(apart) if apart.count() <= BROADCAST_LEADERS else apart, "leader"), scratch)
+    texts = _texts_of(docs, x.select(F.col("cid").alias("doc_id")), scratch)
 
     def wide():
         working()
-        return lambda c: {"cid": c["doc_id"], "sketch": [shingle_set(t, words)[:k] for t in c["text"]]}
+        return lambda c: {"cid": c["doc_id"], "sketch": [shingle_set(t, words)[:k].tobytes() for t in c["text"]]}
 
-    sketch = written(map_slices(texts, "cid long, sketch array<long>", wide))
+    sketch = written(map_slices(texts, "cid long, sketch binary", wide), scratch)
     # blocks 0 to b - 1 hold what is outside the largest part, blocks from b on the largest part, whose members need not meet each other
-    b, a = F.ceil(F.col("rest") / BLOCK).cast("int"), F.ceil(F.col("main") / BLOCK).cast("int")
+    few = F.col("rest") + F.col("main") <= BLOCK
+    b, a = F.when(few, 1).otherwise(F.ceil(F.col("rest") / BLOCK)).cast("int"), F.when(few, 0).otherwise(F.ceil(F.col("main") / BLOCK)).cast("int")
     inside, at = F.col("comp") == F.col("main_comp"), F.xxhash64("cid")
-    x = x.join(sketch, "cid").withColumn("mine", F.when(inside, b + F.pmod(at, a)).otherwise(F.pmod(at, b)).cast("int"))
+    x = x.withColumn("mine", F.when(few, 0).when(inside, b + F.pmod(at, a)).otherwise(F.pmod(at, b)).cast("int"))
     x = x.withColumn("theirs", F.explode(F.sequence(F.lit(0), F.when(inside, b - 1).otherwise(a + b - 1).cast("int"))))
-    keyed = x.select("leader", "cid", "n", "comp", "sketch", "mine", F.least("mine", "theirs").alias("i"), F.greatest("mine", "theirs").alias("j"))
+    keyed = x.join(sketch, "cid").select("leader", "cid", "n", "comp", "sketch", "mine", F.least("mine", "theirs").alias("i"), F.greatest("mine", "theirs").alias("j"))
     need = needed(k, num, den)
 
     def run(t: pa.Table) -> pa.Table:
         cid, n, comp, mine = (t.column(m).to_numpy() for m in ("cid", "n", "comp", "mine"))
-        sketches = t.column("sketch").combine_chunks()
-        rows = np.diff(sketches.offsets.to_numpy())
-        _, at = np.unique(sketches.flatten().to_numpy(), return_inverse=True)
-        hot = np.zeros((len(cid), int(at.max()) + 1), dtype=np.float32)
-        hot[np.repeat(np.arange(len(cid)), rows), at] = 1
-        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
-        left, right = np.flatnonzero(mine == i), np.flatnonzero(mine == j)
-        both = hot[left] @ hot[right].T
+        left, right = np.flatnonzero(mine == t.column("i")[0].as_py()), np.flatnonzero(mine == t.column("j")[0].as_py())
+        both = shared_values(t.column("sketch").to_pylist(), left, right)
         na, nb = n[left][:, None], n[right][None, :]
         whole = (na <= k) & (nb <= k)
         ok = np.where(whole, den * both >= num * (na + nb - both), both >= need)
@@ -222,28 +224,69 @@ def still_apart(members: DataFrame, comp: DataFrame, docs: DataFrame, words: int
     return keyed.groupBy("leader", "i", "j").applyInArrow(run, "a long, b long").distinct()
 
 
+def shared_values(sketches: list[bytes], left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """How many values each sketch of left shares with each of right: a product of 0/1 matrices, some columns at a time.
+
+    Only values that two sketches at least hold have a column, and no more than COLUMNS are held at once.
+    """
+    rows = np.array([len(s) // 8 for s in sketches])
+    owner, values = np.repeat(np.arange(len(sketches)), rows), np.frombuffer(b"".join(sketches), dtype=np.int64)
+    _, at, often = np.unique(values, return_inverse=True, return_counts=True)
+    column = np.where(often > 1, np.cumsum(often > 1) - 1, -1)[at]
+    owner, column = owner[column >= 0], column[column >= 0]
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    both = np.zeros((len(left), len(right)), dtype=np.float32)
+    for first in range(0, int(column[-1]) + 1 if len(column) else 0, COLUMNS):
+        a, b = np.searchsorted(column, (first, first + COLUMNS))
+        hot = np.zeros((len(sketches), int(column[b - 1]) - first + 1), dtype=np.float32)
+        hot[owner[a:b], column[a:b] - first] = 1
+        both += hot[left] @ hot[right].T
+    return both.astype(np.int64)
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100, k: int = SKETCH) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept of each row."""
-    slim = written(sketches(docs, words, k))
-    some = slim.where(F.col("digest").isNotNull() & F.col("doc_id").isNotNull())
-    classes = written(
-        some.groupBy("digest").agg(F.min("doc_id").alias("cid"), F.min_by(F.struct("n_shingles", "sketch"), "doc_id").alias("x"))
-        .select("digest", "cid", F.col("x.n_shingles").alias("n"), F.col("x.sketch").alias("sketch"))
-    )
-    members = written(led(listed(classes, num, den)))
-    links = written(confirmed(written(estimated(to_leaders(members), classes, k, num, den)), docs, words, num, den))
-    comp = components(links)
-    more = confirmed(written(still_apart(members, comp, docs, words, num, den)), docs, words, num, den)
+    """doc_id, n_shingles, component_id, kept of each row. Of what is written on the way only the result stays."""
+    with Scratch(docs.sparkSession) as scratch:
+        return written(_near_duplicates(docs, words, num, den, k, scratch))
+
+
+def _near_duplicates(docs: DataFrame, words: int, num: int, den: int, k: int, scratch: Scratch) -> DataFrame:
+    with Scratch(docs.sparkSession) as own:
+        sketched = written(sketches(docs, words, k), own)
+        some = sketched.where(F.col("digest").isNotNull() & F.col("doc_id").isNotNull())
+        classes = written(
+            some.groupBy("digest").agg(F.min("doc_id").alias("cid"), F.min_by(F.struct("n_shingles", "sketch"), "doc_id").alias("x"))
+            .select("digest", "cid", F.col("x.n_shingles").alias("n"), F.col("x.sketch").alias("sketch")), own,
+        )
+        slim = written(sketched.select("doc_id", "n_shingles", "digest"), scratch)
+        named = written(classes.select("digest", "cid"), scratch)
+        members = written(led(listed(classes, num, den)), scratch)
+        candidates = written(estimated(to_leaders(members), classes, k, num, den), scratch)
+    comp = _contracted(candidates, docs, words, num, den, scratch)
+    with Scratch(docs.sparkSession) as own:
+        more = written(still_apart(members, comp, docs, words, num, den, own), scratch)
     # stars of the first components and the new links, contracted again
-    comp = components(comp.select(F.col("component").alias("a"), F.col("node").alias("b")).unionByName(more))
-    named = classes.join(comp, classes["cid"] == comp["node"], "left").select("digest", F.coalesce("component", "cid").alias("component"))
+    comp = _contracted(more, docs, words, num, den, scratch, comp)
+    named = named.join(comp, named["cid"] == comp["node"], "left").select("digest", F.coalesce("component", "cid").alias("component"))
     return (
-        slim.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")
+        slim.join(named, "digest", "left")
         .select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).alias("component_id"))
         .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
     )
 
 
+def _contracted(pairs: DataFrame, docs: DataFrame, words: int, num: int, den: int, scratch: Scratch, known: DataFrame | None = None) -> DataFrame:
+    """Components of the pairs that full sets confirm, and of the components known before."""
+    with Scratch(docs.sparkSession) as own:
+        links = confirmed(pairs, docs, words, num, den, own)
+        if known is not None:
+            links = known.select(F.col("component").alias("a"), F.col("node").alias("b")).unionByName(links)
+        links = written(links, scratch)
+    with Scratch(docs.sparkSession) as own:
+        return written(components(links, scratch=own), scratch)
+
+
 def one_of_each(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """docs with the first document of each class, and all their columns."""
     seen = written(near_duplicates(docs, words, num, den).select("doc_id", "kept"))
