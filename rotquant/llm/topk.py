@@ -3,17 +3,22 @@
 Candidates are dealt to shards of bounded size and queries to blocks of bounded size; each
 (shard, block) pair is one group. In a group every dimension is a list of its candidates
 sorted by component. A query reads each list from the end its own sign prefers, a stretch
-at a time.
-What has been read gives a candidate's lower bound (the rest of its dimensions at the worst
-value of their lists) and upper bound (the rest at the lists' present fronts). Reading stops
-when no candidate outside the best k can reach the k-th lower bound; the lists are then
-read on only for those that still can, which resolves their final scores. A group returns
-k rows a query, and a window over the groups' winners ranks them.
+at a time, from the start on. What has been read gives a candidate's lower bound (the rest of
+its dimensions at the worst value of their lists) and upper bound (the rest at the lists'
+present fronts). Reading stops when no candidate outside the best k can reach the k-th lower
+bound. The lists are then read on until the last entry of those k has come up, which resolves
+their final scores. A group returns k rows a query, and a window over the groups' winners
+ranks them.
+
+Between two stretches bounds are compared for a block of queries at once; a query with few
+candidates left compares only theirs. With many dimensions of like weight bounds part late: most
+of each list is read before a query can stop.
 
 Components are floor(scale * x) as integers, so scores are exact and ties go to the smaller
 id. Defined cases: vectors that are null, or hold null or non-finite components, take no
 part; vectors of another length than the query's never meet it; repeated vectors each
-count; fewer than k candidates give fewer rows; an empty table gives none.
+count; rows that repeat the query's id are the query's own; fewer than k candidates give fewer
+rows; an empty table gives none; other columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -28,7 +33,9 @@ from .common import table, written
 SHARD_ROWS = 4096
 BLOCK_ROWS = 1024
 #: Shares of each list that have been read when bounds are compared.
-STRETCHES = (0.75, 0.85, 0.92, 1.0)
+STRETCHES = (1 / 2, 7 / 8, 31 / 32, 127 / 128, 511 / 512, 1.0)
+#: A query whose candidates are at most this share of all compares only theirs, so many pairs at once.
+FEW, PAIRS = 1 / 16, 1 << 15
 
 
 class SortedLists:
@@ -58,41 +65,63 @@ class SortedLists:
         return pair(low, high), pair(front_top, front_bottom)
 
     def top(self, queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, k: int) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
-        """(ids, scores) of each query's k best candidates other than itself; shares read."""
+        """(ids, scores) of each query's k best candidates other than itself; the share of the lists it read."""
         n, d = self.vectors.shape
         largest = float(np.abs(self.vectors).max(initial=0)) * float(np.abs(queries).max(initial=0)) * d
         kind = np.float32 if largest < 2**24 else np.float64  # sums of whole numbers stay exact
         signed = np.hstack([np.maximum(queries, 0), np.minimum(queries, 0)]).astype(kind)
         own = query_ids[:, None] == ids[None, :]
-        out: list = [None] * len(queries)
-        read = np.ones(len(queries))
-        left = np.arange(len(queries))
-        for share in STRETCHES if n > k + 1 else (1.0,):
+        want = np.minimum(k, n - own.sum(axis=1))
+        out, read = [(ids[:0], ids[:0])] * len(queries), np.zeros(len(queries))
+        many = np.flatnonzero(want > 0)  # queries with many candidates left; of the others the pairs that are left
+        q, c = np.empty(0, np.int64), np.empty(0, np.int64)
+        for share in STRETCHES:
             lower_table, upper_table = self.bounds(share, kind)
-            lower = signed[left] @ lower_table
-            lower[own[left]] = -np.inf
-            if share < 1:
-                kth = np.partition(lower, n - k, axis=1)[:, n - k]
-                upper = signed[left] @ upper_table
-                upper[own[left]] = -np.inf
-                alive = upper >= kth[:, None]
-                done = alive.sum(axis=1) <= max(4 * k, n // 16)
-            else:
-                alive, done = np.isfinite(lower), np.ones(len(left), dtype=bool)
-                if n > k:
-                    alive &= lower >= np.partition(lower, n - k, axis=1)[:, n - k, None]
-            for r in np.flatnonzero(done):
-                q = left[r]
-                cand = np.flatnonzero(alive[r])
-                # the rest of their entries, as the lists give them
-                score = lower[r, cand].astype(np.int64) if share == 1 else self.vectors[cand] @ queries[q]
-                best = np.lexsort((ids[cand], -score))[:k]
-                out[q], read[q] = (ids[cand][best], score[best]), share
-            left = left[~done]
-            if not len(left):
+            if len(many):
+                lower = signed[many] @ lower_table
+                lower[own[many]] = -np.inf
+                kth = np.partition(lower, n - k, axis=1)[:, n - k] if n > k else np.full(len(many), -np.inf)
+                kth = np.where(want[many] < k, -np.inf, kth)
+                upper = signed[many] @ upper_table
+                alive = (upper >= kth[:, None]) & ~own[many]
+                few = (alive.sum(axis=1) <= max(4 * k, n * FEW)) | (share == 1)
+                row, cand = np.nonzero(alive[few])
+                q, c = np.concatenate([q, many[few][row]]), np.concatenate([c, cand])
+                many = many[~few]
+            lower, upper = self._pairs(signed, q, c, lower_table), self._pairs(signed, q, c, upper_table)
+            order = np.lexsort((ids[c], -lower, q))
+            q, c, lower, upper = q[order], c[order], lower[order], upper[order]
+            first = np.searchsorted(q, q)  # where the pairs of the same query begin
+            kth = lower[np.minimum(first + want[q], np.searchsorted(q, q, side="right")) - 1]
+            keep = upper >= kth if share < 1 else np.arange(len(q)) - first < want[q]
+            q, c = q[keep], c[keep]
+            left = np.bincount(q, minlength=len(queries))
+            done = left[q] == want[q]
+            self._resolve(queries, q[done], c[done], ids, out, read, share)
+            q, c = q[~done], c[~done]
+            if not len(q) and not len(many):
                 break
         return out, read
 
+    def _pairs(self, signed: np.ndarray, q: np.ndarray, c: np.ndarray, table: np.ndarray) -> np.ndarray:
+        rows = table.T
+        parts = [np.einsum("pd,pd->p", signed[q[i : i + PAIRS]], rows[c[i : i + PAIRS]]) for i in range(0, len(q), PAIRS)]
+        return np.concatenate(parts) if parts else np.empty(0, signed.dtype)
+
+    def _resolve(self, queries: np.ndarray, q: np.ndarray, c: np.ndarray, ids: np.ndarray, out: list, read: np.ndarray, share: float) -> None:
+        """Scores of the winners (c) of queries (q, in order), once the lists have been read down to their last entries."""
+        n = len(self.vectors)
+        for a in range(0, len(q), PAIRS):
+            i, j = q[a : a + PAIRS], c[a : a + PAIRS]
+            depth = np.where(queries[i] >= 0, n - self.rank[j], self.rank[j] + 1) * (queries[i] != 0)
+            np.maximum.at(read, i, np.maximum(share, depth.max(axis=1) / n))
+        score = np.concatenate([np.einsum("pd,pd->p", queries[q[a : a + PAIRS]], self.vectors[c[a : a + PAIRS]]) for a in range(0, len(q), PAIRS)]) if len(q) else q
+        order = np.lexsort((ids[c], -score, q))
+        q, c, score = q[order], c[order], score[order]
+        at = np.flatnonzero(np.diff(q, prepend=-1))
+        for x, y in zip(at, [*at[1:], len(q)]):
+            out[q[x]] = (ids[c[x:y]], score[x:y])
+
 
 def whole_components(vectors: DataFrame, scale: int) -> DataFrame:
     """(vec_id, v): integer components of the vectors that take part."""
@@ -105,38 +134,41 @@ def whole_components(vectors: DataFrame, scale: int) -> DataFrame:
     )
 
 
-def top_k(vectors: DataFrame, is_query, k: int = 20, scale: int = 64, shard_rows: int = SHARD_ROWS, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """query_id, rank, vec_id, score of each query's k best other rows."""
+def top_k(vectors: DataFrame, is_query, k: int = 20, scale: int = 64, shard_rows: int = SHARD_ROWS, block_rows: int = BLOCK_ROWS, shares: bool = False) -> DataFrame:
+    """query_id, rank, vec_id, score of each query's k best other rows; if asked for, also the
+    largest share of a shard's lists that the query read."""
     rows = written(whole_components(vectors, scale).withColumn("q", is_query))
     total = rows.agg(F.count("*").alias("n"), F.count(F.when(F.col("q"), 1)).alias("m")).first()
     shards, blocks = max(1, -(-total["n"] // shard_rows)), max(1, -(-total["m"] // block_rows))
     spread = F.xxhash64("vec_id")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
     cands = rows.select(F.pmod(spread, F.lit(shards)).cast("int").alias("shard"), every(blocks).alias("block"), "vec_id", "v")
-    asks = rows.where("q").select(every(shards).alias("shard"), F.pmod(spread, F.lit(blocks)).cast("int").alias("block"), "vec_id", "v")
+    asks = rows.where("q").select(every(shards).alias("shard"), F.pmod(spread, F.lit(blocks)).cast("int").alias("block"), F.col("vec_id").alias("ask"), F.col("v").alias("w"))
 
-    def split(t: pa.Table) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    def split(t: pa.Table, name: str, vector: str) -> dict[int, tuple[np.ndarray, np.ndarray]]:
         """Ids and vectors by width."""
-        v = t.column("v").combine_chunks()
-        ids, width, flat = t.column("vec_id").to_numpy(), np.diff(v.offsets.to_numpy()), v.flatten().to_numpy()
+        v = t.column(vector).combine_chunks()
+        ids, width, flat = t.column(name).to_numpy(), np.diff(v.offsets.to_numpy()), v.flatten().to_numpy()
         at = np.repeat(width, width)
         return {int(w): (ids[width == w], flat[at == w].reshape(-1, w)) for w in np.unique(width)}
 
     def run(_, left: pa.Table, right: pa.Table) -> pa.Table:
-        rows = [(np.empty(0, np.int64),) * 3]
-        have = split(left) if len(left) and len(right) else {}
-        for w, (query_ids, queries) in (split(right) if have else {}).items():
+        rows = [(np.empty(0, np.int64),) * 3 + (np.empty(0),)]
+        have = split(left, "vec_id", "v") if len(left) and len(right) else {}
+        for w, (query_ids, queries) in (split(right, "ask", "w") if have else {}).items():
             if w in have:
                 ids, vectors = have[w]
-                got, _ = SortedLists(vectors).top(queries, query_ids, ids, k)
-                rows += [(np.full(len(i), q), i, s) for q, (i, s) in zip(query_ids, got)]
-        return pa.table({n: pa.array(np.concatenate(x), type=pa.int64()) for n, x in zip(("query_id", "vec_id", "score"), zip(*rows))})
-
-    won = (
-        cands.groupBy("shard", "block").cogroup(asks.groupBy("shard", "block")).applyInArrow(run, "query_id long, vec_id long, score long")
-    )
+                got, read = SortedLists(vectors).top(queries, query_ids, ids, k)
+                rows += [(np.full(len(i), q), i, s, np.full(len(i), r)) for q, (i, s), r in zip(query_ids, got, read)]
+        kinds = {"query_id": pa.int64(), "vec_id": pa.int64(), "score": pa.int64(), "read": pa.float64()}
+        return pa.table({n: pa.array(np.concatenate(x), type=t) for (n, t), x in zip(kinds.items(), zip(*rows))})
+
+    won = cands.groupBy("shard", "block").cogroup(asks.groupBy("shard", "block")).applyInArrow(run, "query_id long, vec_id long, score long, read double")
+    if not shares:
+        won = won.drop("read")
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return won.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
+    read = [F.max("read").over(Window.partitionBy("query_id")).alias("read")] if shares else []
+    return won.select("*", F.row_number().over(best).cast("int").alias("rank"), *[x.alias("most") for x in read]).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", *[F.col("most").alias("read")] * shares)
 
 
 def op8_topk(spark, sf_dir: str) -> DataFrame:
