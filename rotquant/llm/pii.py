@@ -16,6 +16,8 @@ from __future__ import annotations
 
 import re
 import unicodedata
+from bisect import bisect_left
+from itertools import accumulate
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,7 +29,7 @@ KINDS = ("email", "ip", "card", "phone")
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-_IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+_IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")  # a match begins where a run of digits does; runs are taken whole
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _DIGIT = re.compile(r"[0-9]")
@@ -94,8 +96,8 @@ _LOOK = {p[0]: p[1] for p in LOOKALIKES.split()}
 _IGNORED = frozenset("​‌‍⁠﻿­")
 #: Characters that may need rewriting: anything outside ASCII and the Latin letters of the texts.
 _ODD = re.compile(r"[^\x00-\x7fÀ-ÖØ-öø-ÿ]")
-_SIGNS = re.compile(
-    r"[\x20]*(?:[\[({<][\x20]*(?:(at|@|arroba|ät)|(dot|punkt|point|punto|\.))[\x20]*[\])}>])[\x20]*"
+_SIGNS = re.compile(  # blanks before a sign are entered at their first only
+    r"(?<!\x20)[\x20]*(?:[\[({<][\x20]*(?:(at|@|arroba|ät)|(dot|punkt|point|punto|\.))[\x20]*[\])}>])[\x20]*"
     r"|(?<=[A-Za-z0-9_-])[\x20]+(at|AT)[\x20]+(?=[A-Za-z0-9-]+(?:[\x20]+(?:dot|DOT)[\x20]+|[\x20]*[\[({<][\x20]*dot|\.[A-Za-z]))"
     r"|(?<=[A-Za-z0-9-])[\x20]+(dot|DOT)[\x20]+(?=[A-Za-z0-9])",
     re.I,
@@ -209,10 +211,16 @@ def spans(text: str | None) -> tuple[list[tuple[int, str, int]], list[tuple[int,
     text = text or ""
     order = lambda x: (x[0], KINDS.index(x[1]))
     base = sorted(plain(text), key=order)
-    more = [x for x in disguised(text) if all(x[2] <= a or b <= x[0] for a, _, b in base)]
+    more = apart(disguised(text), base)
     return base, sorted(base + more, key=order)
 
 
+def apart(found: list[tuple[int, str, int]], base: list[tuple[int, str, int]]) -> list[tuple[int, str, int]]:
+    """Those that overlap nothing of base, which is in order of start."""
+    starts, reach = [a for a, _, _ in base], list(accumulate((b for _, _, b in base), max))
+    return [x for x in found if not (i := bisect_left(starts, x[2])) or reach[i - 1] <= x[0]]
+
+
 def joined(found: list[tuple[int, str, int]]) -> str:
     return ",".join(f"{k}:{a}:{b}" for a, k, b in found)
 
@@ -225,7 +233,8 @@ def personal_data(docs: DataFrame) -> DataFrame:
             out = []
             for t in c["text"]:
                 base, every = spans(t)
-                out.append([{"start": a, "kind": k, "end": b, "plain": (a, k, b) in base} for a, k, b in every])
+                own = set(base)
+                out.append([{"start": a, "kind": k, "end": b, "plain": (a, k, b) in own} for a, k, b in every])
             return {"doc_id": c["doc_id"], "spans": out}
 
         return f
