@@ -2,7 +2,7 @@
 
 A test item that occurs in a text with at most e edits leaves at least one of its e + 1
 pieces untouched. The first eight bytes of the pieces of all items are looked for at every
-place of each normalised text at once, a whole piece decides, and around every hit the item
+place of each normalised text at once (pieces of fewer bytes one by one), a whole piece decides, and around every hit the item
 is verified with the bit-parallel semi-global edit distance. Texts are only mapped, never
 shuffled.
 
@@ -18,6 +18,7 @@ whole; an empty table gives no match; other columns are ignored.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
@@ -27,8 +28,8 @@ from pyspark.sql import functions as F
 from .bytescan import KEY, KeyScan
 from .common import map_slices, small_batches, table
 
-#: One edit is allowed for so many characters of an item.
-CHARS_PER_EDIT = 15
+#: One edit is allowed for so many characters of an item; pieces have eight characters and more then.
+CHARS_PER_EDIT = 12
 MIN_ITEM = 24
 #: Characters of items and items that are looked for in one pass.
 BLOCK_CHARS = 4_000_000
@@ -82,6 +83,13 @@ def best_match(item: str, window: str, budget: int) -> tuple[int, int] | None:
     return best
 
 
+def every_place(text: str, what: str) -> Iterator[int]:
+    at = text.find(what)
+    while at >= 0:
+        yield at
+        at = text.find(what, at + 1)
+
+
 class Matcher:
     """Items of one block, ready to be found."""
 
@@ -91,22 +99,27 @@ class Matcher:
         self.budget = [0 if len(t) < min_item else len(t) // chars_per_edit for _, t in self.items]
         self.short = {k for k, (_, t) in enumerate(self.items) if len(t.encode()) < KEY or len(t) < min_item}
         self.pieces: dict[bytes, list[tuple[bytes, int, int]]] = {}
+        self.tiny: dict[str, list[tuple[int, int]]] = {}  # pieces too short for a key
         for k, ((_, t), e) in enumerate(zip(self.items, self.budget)):
             cuts = [len(t) * p // (e + 1) for p in range(e + 2)]
             for a, b in zip(cuts, cuts[1:]):
                 piece = t[a:b].encode("utf-8", "surrogatepass")
                 if len(piece) >= KEY:
                     self.pieces.setdefault(piece[:KEY], []).append((piece, k, a))
+                elif k not in self.short:
+                    self.tiny.setdefault(t[a:b], []).append((k, a))
         self.scan = KeyScan(list(self.pieces))
 
     def starts(self, t: str) -> dict[int, set[int]]:
         """Where each item would begin, by the pieces of it that t holds."""
         data, spots = t.encode("utf-8", "surrogatepass"), {}
         for k in self.short:
-            if (at := t.find(self.items[k][1])) >= 0:
-                while at >= 0:
-                    spots.setdefault(k, set()).add(at)
-                    at = t.find(self.items[k][1], at + 1)
+            for at in every_place(t, self.items[k][1]):
+                spots.setdefault(k, set()).add(at)
+        for piece, owners in self.tiny.items():
+            for at in every_place(t, piece):
+                for k, a in owners:
+                    spots.setdefault(k, set()).add(at - a)
         hits = self.scan.find(data)
         if len(hits):
             chars = np.cumsum((np.frombuffer(data, dtype=np.uint8) & 0xC0) != 0x80)
@@ -152,17 +165,18 @@ class Matcher:
         return out
 
 
-def blocks(items: DataFrame, chars: int, rows: int) -> list[list[tuple[int, str]]]:
-    """Items in blocks of bounded size, read one at a time."""
-    out, now, size = [], [], 0
+def blocks(items: DataFrame, chars: int, rows: int) -> Iterator[list[tuple[int, str]]]:
+    """Items in blocks of bounded size; the driver holds one at a time."""
+    now, size = [], 0
     kept = items.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id IS NOT NULL AND length(text) > 0")
     for r in kept.orderBy("item_id", "text").toLocalIterator():
         if now and (size + len(r["text"]) > chars or len(now) >= rows):
-            out.append(now)
+            yield now
             now, size = [], 0
         now.append((r["item_id"], r["text"]))
         size += len(r["text"])
-    return [*out, now] if now else out
+    if now:
+        yield now
 
 
 def benchmark_matches(
@@ -190,7 +204,11 @@ def benchmark_matches(
 
 
 def without_benchmark(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
-    """The documents in which no item occurs, with all their columns."""
+    """The documents in which no item occurs, with all their columns, whatever their names.
+
+    Null and empty texts stay; repeated rows stay or go alike; an empty table stays empty, and
+    an empty benchmark takes nothing away.
+    """
     kept = docs
     small_batches(docs.sparkSession)
     for block in blocks(items, options.pop("block_chars", BLOCK_CHARS), options.pop("block_rows", BLOCK_ITEMS)):
