@@ -8,18 +8,24 @@ from pyspark.sql import functions as F
 from .common import Scratch, written
 
 
+#: Most nodes whose minima are broadcast.
+BROADCAST_NODES = 500_000
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", scratch: Scratch | None = None) -> DataFrame:
     """(node, component) of every node that has an edge; component is its smallest node.
 
     Each round hangs a node's larger neighbours, then its smaller ones, onto the smallest
     node in its neighbourhood; every round is written out, so lost executors cost a re-read.
-    Minima are combined before they are shuffled. The two joins send a hub's edges, pairs of
-    ids, to its task; one that is skewed is split by AQE.
+    Minima are combined before they are shuffled, and up to a bound they are broadcast to the
+    edges, so that a hub does not gather in one task; beyond it AQE splits a hub that is skewed.
     """
     now = written(edges.select(F.least(a, b).alias("u"), F.greatest(a, b).alias("v")).where("u < v").distinct(), scratch)
     while True:
         both = now.select(F.col("v").alias("n"), F.col("u").alias("m")).unionByName(now.select(F.col("u").alias("n"), F.col("v").alias("m")))
         low = both.groupBy("n").agg(F.min("m").alias("m0")).select("n", F.least("n", "m0").alias("low"))
+        low = written(low, scratch)
+        low = F.broadcast(low) if low.count() <= BROADCAST_NODES else low
         # larger neighbours to the lowest of the neighbourhood
         large = both.where("m > n").join(low, "n").select(F.col("low").alias("u"), F.col("m").alias("v"))
         large = large.where("u < v").distinct()
