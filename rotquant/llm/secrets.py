@@ -111,7 +111,8 @@ def _tail(z: Column) -> Column:
 
 
 _UPPER, _LOWER, _DIGITS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz", "0123456789"
-#: Alphabets by encoding, the chance that two characters of a token of words agree, and that two neighbours differ in class.
+#: Alphabets by encoding, the chance that two characters of a token of words agree, and that two neighbours
+#: differ in class (names of capitalised words, and words between signs, change class twice a word).
 ALPHABETS = {
     "letters": (_UPPER, 0.066, 0.6),
     "letters_lower": (_LOWER, 0.066, 0.6),
@@ -120,8 +121,8 @@ ALPHABETS = {
     "base32_lower": (_LOWER + "234567", 0.066, 0.15),
     "base36": (_UPPER + _DIGITS, 0.066, 0.15),
     "base36_lower": (_LOWER + _DIGITS, 0.066, 0.15),
-    "base64": (_UPPER + _LOWER + _DIGITS + "+/", 0.066, 0.15),
-    "base62": (_UPPER + _LOWER + _DIGITS, 0.066, 0.15),
+    "base64": (_UPPER + _LOWER + _DIGITS + "+/", 0.066, 0.33),
+    "base62": (_UPPER + _LOWER + _DIGITS, 0.066, 0.33),
 }
 #: Serial correlation, and the chance that neighbours differ in class, in counting patterns.
 SERIAL, COUNTING_CHANGE = 0.5, 0.15

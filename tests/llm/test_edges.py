@@ -67,6 +67,10 @@ def test_odd_rows_and_empty_tables(spark, docs, labels, items, name):
         assert got[1]["score"] == got[2]["score"] == got[3]["score"] == 0 and got[4]["score"] == got[5]["score"]
     if name == "decontaminate":
         assert {(r["doc_id"], r["item_id"]) for r in rows} == {(4, 4), (5, 4)}
+    if name in ("secrets", "pii"):
+        assert all(not r["spans"] for r in rows)
+    if name == "licences":
+        assert rows == []
     if name == "packing":
         assert sum(r["length"] for r in rows if r["doc_id"] == 1) == 1 and {r["doc_id"] for r in rows} >= {1, 2, 3, 4, 5, 6, 7}
     assert op(docs.limit(0)).collect() == []
@@ -76,7 +80,19 @@ def test_training_without_labels(spark, docs, labels):
     texts, y = toxicity.training_rows(docs, labels, 100)
     assert len(texts) == len(y)
     net = toxicity.fit(docs, labels.limit(0), rounds=1, steps=1)
-    assert {r["score"] for r in toxicity.toxicity(docs, net).where("doc_id = 4").collect()} != {None}
+    assert {r["score"] for r in toxicity.toxicity(docs, net).where("doc_id IN (4, 5, 6, 7)").collect()} == {pytest.approx(0.0, abs=1e-6)}
+
+
+def test_found_spans_of_repeated_and_long_rows(spark):
+    """Repeated rows each report, and a place behind a long text is right."""
+    long = "é " * 50_000
+    rows = [(1, long + "mail a.b@c.de token=abcdef12"), (1, long + "mail a.b@c.de token=abcdef12"), (None, "a.b@c.de token=abcdef12"), (2, None), (3, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("spans", F.lit(1)).withColumn("base", F.lit(2))
+    at = {None: 0, 1: 100_005}
+    for found, kind, size, off in ((pii.personal_data(df), "email", 8, 0), (secrets.secret_spans(df), "assign", 14, 9)):
+        got = sorted(((r["doc_id"], [(s["start"], s["kind"], s["end"]) for s in r["spans"]]) for r in found.collect()), key=repr)
+        want = sorted([(d, [(at[d] + off, kind, at[d] + off + size)]) for d in (1, 1, None)] + [(2, []), (3, [])], key=repr)
+        assert got == want
 
 
 def test_top_k_drops_vectors_that_are_not_whole(spark):

@@ -42,7 +42,7 @@ def library():
 
 
 @settings(max_examples=60, deadline=None)
-@given(st.lists(st.text(alphabet="abcÀßéÿ ,.!?'s’ll12\n\tIİſK²×中🙂-_", max_size=60), max_size=4))
+@given(st.lists(st.text(alphabet="abcÀßéÿ €,.!?'s’ll12\n\tIİſK²×中🙂-_", max_size=60), max_size=4))
 def test_encoder_gives_the_library_s_ids(library, xs):
     assert [array("I", library(x)).tobytes() for x in xs] == encoder(public_path()).encode(xs)
 
@@ -216,8 +216,10 @@ def test_matches_within_the_budget(spark, sf, texts):
         assert got[1] == 0 and f"  Some  start. {t} The end."[got[2] : got[3]] == t
     found = {(r["doc_id"], r["item_id"]) for r in registry.queries()["op3_decontamination"](spark, sf).collect()}
     plain = {(d, i) for d, t in texts.items() for i, x in items if t and dc.normal(x) in dc.normal(t)}
-    near = {(d, i) for d, t in texts.items() for i, x in items if t and (d, i) not in plain and semi_global(dc.normal(x), dc.normal(t)[:600]) <= len(x) // dc.CHARS_PER_EDIT}
-    assert plain <= found and near <= found and len(found) <= len(plain) + 5
+    assert plain <= found
+    for d, i in found - plain:  # whatever else is reported is within the budget
+        x = dc.normal(dict(items)[i])
+        assert semi_global(x, dc.normal(texts[d])) <= len(x) // dc.CHARS_PER_EDIT
     kept = {r["doc_id"] for r in dc.without_benchmark(table(spark, sf, "documents"), table(spark, sf, "benchmark")).collect()}
     assert kept == set(texts) - {d for d, _ in found}
     assert {(r["doc_id"], r["item_id"]) for r in dc.benchmark_matches(table(spark, sf, "documents"), table(spark, sf, "benchmark"), block_rows=7).collect()} == found
