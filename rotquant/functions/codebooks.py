@@ -175,3 +175,15 @@ def block_quadrature(p: int, d: int, n: int) -> tuple[np.ndarray, np.ndarray]:
     points = (r[:, None, None] * at[None]).reshape(-1, p)
     weights = np.repeat(w / w.sum(), len(at)) / len(at)
     return points, weights
+
+
+def spread_sphere(d: int, n: int) -> np.ndarray:
+    """n points spread evenly over the unit sphere of 3 or 4 dimensions, by turning irrational angles."""
+    i = np.arange(n)
+    if d == 3:
+        z, t = 1 - (2 * i + 1) / n, i * math.pi * (3 - math.sqrt(5))
+        return np.stack([np.sqrt(1 - z * z) * np.cos(t), np.sqrt(1 - z * z) * np.sin(t), z], axis=1)
+    if d != 4:
+        raise ValueError("spread points are given for 3 and 4 dimensions")
+    u, s, t = (i + 0.5) / n, 2 * math.pi * math.sqrt(2) * i, 2 * math.pi * math.sqrt(3) * i
+    return np.stack([np.sqrt(u) * np.cos(s), np.sqrt(u) * np.sin(s), np.sqrt(1 - u) * np.cos(t), np.sqrt(1 - u) * np.sin(t)], axis=1)

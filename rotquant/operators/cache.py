@@ -16,9 +16,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 
+from ..functions.passages import Passages
 from ..model import QuantizerSpec
-from ..sources.tables import BLANKS, tokens
+from ..sources.tables import BLANKS, TokenSlots, hashed, tokens
 from . import arrow as A
 from .codec import Codec, codec
 
@@ -33,11 +36,11 @@ def channel_scale(head: int, channel: int) -> float:
     return 4.0 + 0.25 * (channel % 8) if (channel * 37 + head * 11) % WIDTH < OUTLIERS else 1.0
 
 
-@lru_cache(maxsize=200_000)
+@lru_cache(maxsize=20_000)
 def state(token: str, kind: str, head: int) -> bytes:
-    """128 components in (-0.5, 0.5) of a token's k, v or q, as bytes of doubles."""
+    """128 components in (-0.5, 0.5) of a token's k, v or q, as bytes of doubles; a digest gives four of them."""
     name = f"{token}:{kind}{head}:".encode("utf-8", "surrogatepass")
-    x = np.array([int(hashlib.md5(name + str(c).encode()).hexdigest()[:8], 16) for c in range(WIDTH)]) / 4294967296.0 - 0.5
+    x = np.frombuffer(b"".join(hashlib.md5(name + str(g).encode()).digest() for g in range(WIDTH // 4)), dtype=">u4") / 4294967296.0 - 0.5
     if kind == "k":
         x = x * np.array([channel_scale(head, c) for c in range(WIDTH)])
     return x.tobytes()
@@ -96,36 +99,71 @@ class CacheSpec:
         return self.b_value + 16 / WIDTH
 
     def part(self, d: int, b: int, rescale: str | None = None) -> QuantizerSpec:
-        grid, ball = self.codebook == "grid_dir", self.codebook == "ball_block"
-        assign = "ladder" if grid else self.assign if ball else "exact"
+        ball = self.codebook == "ball_block"
         r = "raw" if self.codebook == "sphere_scalar_signbit" else rescale or self.rescale
-        return QuantizerSpec(self.codebook, r, d, self.p if ball else 1, b, self.seed, assign)
+        return QuantizerSpec(self.codebook, r, d, self.p if ball else 1, b, self.seed, self.assign if ball else "exact")
 
 
 def stored(c: Codec, x: np.ndarray) -> np.ndarray:
-    """What is read back of rows x: codes with one scale of 16 bits each."""
+    """What is read back of rows x: codes with one scale of 16 bits each. The sign sketch keeps
+    a second one, the length of its residual."""
     ok = (x * x).sum(axis=1) > 0
     out = np.zeros_like(x)
     if ok.any():
         e = c.encode(x[ok])
+        half = lambda v: np.float16(v).astype(float)
         if "signs" in e:
+            e["rnorm"], e["norm"] = half(e["rnorm"] * e["norm"]), half(e["norm"])
+            e["rnorm"] = e["rnorm"] / np.where(e["norm"] > 0, e["norm"], 1)
             out[ok] = c.decode(e)
         else:
-            scale = np.float16(c.scale(e["rho"], e["zbar_sq"]) * e["norm"]).astype(float)
+            scale = half(c.scale(e["rho"], e["zbar_sq"]) * e["norm"])
             out[ok] = (c.values(e["code"]) * scale[:, None] @ c.rotation)[:, : x.shape[1]]
     return out
 
 
-def quantize_keys(k: np.ndarray, outliers: np.ndarray, spec: CacheSpec) -> np.ndarray:
-    rest = np.setdiff1d(np.arange(WIDTH), outliers)
-    out = np.empty_like(k)
-    out[:, outliers] = stored(codec(spec.part(len(outliers), spec.b_hi)), k[:, outliers])
-    out[:, rest] = stored(codec(spec.part(len(rest), spec.b_lo)), k[:, rest])
-    return out
+class KeyValueCache:
+    """A spec with its codecs for channel sets of one size, made on the driver and sent to the tasks."""
+
+    def __init__(self, spec: CacheSpec, outliers: dict[int, np.ndarray]):
+        self.spec, self.outliers = spec, outliers
+        self.high, self.low = codec(spec.part(spec.n_outlier, spec.b_hi)), codec(spec.part(WIDTH - spec.n_outlier, spec.b_lo))
+        self.value = codec(spec.part(WIDTH, spec.b_value, "best"))
+
+    def keys(self, k: np.ndarray, head: int = 0) -> np.ndarray:
+        own = self.outliers[head]
+        rest = np.setdiff1d(np.arange(WIDTH), own)
+        out = np.empty_like(k)
+        out[:, own], out[:, rest] = stored(self.high, k[:, own]), stored(self.low, k[:, rest])
+        return out
+
+    def values(self, v: np.ndarray) -> np.ndarray:
+        return stored(self.value, v)
 
+    approximate = keys
 
-def quantize_values(v: np.ndarray, spec: CacheSpec) -> np.ndarray:
-    return stored(codec(spec.part(WIDTH, spec.b_value, "best")), v)
+
+def by_head(outliers: DataFrame) -> dict[int, np.ndarray]:
+    """Outlier channels of each head; at most heads * width rows."""
+    out: dict[int, list[int]] = {}
+    for r in outliers.collect():
+        out.setdefault(r["head"], []).append(r["channel"])
+    return {h: np.sort(np.array(c)) for h, c in out.items()}
+
+
+def outlier_dimensions(vectors: DataFrame, n: int = OUTLIERS) -> dict[int, np.ndarray]:
+    """The n coordinates of largest norm of plain vectors, as those of one head."""
+
+    def run(batches):
+        total = np.zeros(WIDTH)
+        for b in batches:
+            x = A.matrix(b.column("embedding"))
+            if len(x):
+                total += (x * x).sum(axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(WIDTH), pa.int32()), pa.array(total)], ["channel", "sq"])
+
+    sums = vectors.select("embedding").mapInArrow(run, "channel int, sq double").groupBy("channel").agg(F.sum("sq").alias("sq"))
+    return by_head(sums.select(F.lit(0).alias("head"), "channel", F.round("sq", 9).alias("sq")).orderBy(F.desc("sq"), "channel").limit(n))
 
 
 def attend(rows: DataFrame, outliers: DataFrame, specs: dict[str, CacheSpec]) -> DataFrame:
@@ -135,10 +173,8 @@ def attend(rows: DataFrame, outliers: DataFrame, specs: dict[str, CacheSpec]) ->
     exponentials and its weighted values for every method, and the parts are merged. Method exact is the
     full-precision cache.
     """
-    by_head = {h: [] for h in range(HEADS)}
-    for r in outliers.collect():  # at most HEADS * WIDTH rows
-        by_head[r["head"]].append(r["channel"])
-    own = {h: np.sort(np.array(c)) for h, c in by_head.items()}
+    own = by_head(outliers)
+    sent = rows.sparkSession.sparkContext.broadcast({name: KeyValueCache(s, own) for name, s in specs.items()})  # size fixed by the specs
     last = rows.groupBy("seq_id").agg(F.max_by("token", "pos").alias("asks"))
     cut = rows.join(last, "seq_id").withColumn("part", F.floor(F.col("pos") / RANGE))
     kinds = "seq_id long, head int, method string, top double, mass double, acc array<double>, logit_sq double, n long"
@@ -149,9 +185,9 @@ def attend(rows: DataFrame, outliers: DataFrame, specs: dict[str, CacheSpec]) ->
         for h in range(HEADS):
             k, v, q = states(words, "k", h), states(words, "v", h), states([asks], "q", h)[0]
             true = k @ q / np.sqrt(WIDTH)
-            for name, spec in [("exact", None), *specs.items()]:
-                logit = true if spec is None else quantize_keys(k, own[h], spec) @ q / np.sqrt(WIDTH)
-                vals = v if spec is None else quantize_values(v, spec)
+            for name, c in [("exact", None), *sent.value.items()]:
+                logit = true if c is None else c.keys(k, h) @ q / np.sqrt(WIDTH)
+                vals = v if c is None else c.values(v)
                 w = np.exp(logit - logit.max())
                 out.append((seq, h, name, float(logit.max()), float(w.sum()), (w @ vals).tolist(), float(((logit - true) ** 2).sum()), len(words)))
         return _table(out, ["seq_id", "head", "method", "top", "mass", "acc", "logit_sq", "n"], [pa.int64(), pa.int32(), pa.string(), pa.float64(), pa.float64(), pa.list_(pa.float64()), pa.float64(), pa.int64()])
@@ -183,51 +219,94 @@ def attention_error(out: DataFrame) -> DataFrame:
 
 # needles ------------------------------------------------------------------------
 
+#: Characters of passages that are looked for in one pass over the texts.
+BLOCK_CHARS = 4_000_000
+
+
+def passage_blocks(items: DataFrame) -> Iterator[list[tuple[int, str]]]:
+    """Passages in blocks of bounded size; the driver holds one at a time."""
+    now, size = [], 0
+    for r in items.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("length(text) > 0").orderBy("item_id").toLocalIterator():
+        if now and size + len(r["text"]) > BLOCK_CHARS:
+            yield now
+            now, size = [], 0
+        now.append((r["item_id"], r["text"]))
+        size += len(r["text"])
+    if now:
+        yield now
+
+
+def _passage_map(docs: DataFrame, items: DataFrame, kinds: str, rows_of) -> DataFrame:
+    """One pass over the texts for each block of passages; rows_of(doc, text, found) gives rows."""
+    texts, out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), None
+    names = [k.split()[0] for k in kinds.split(", ")]
+    types = [to_arrow_type(f.dataType) for f in T._parse_datatype_string(kinds)]
+    for block in passage_blocks(items):
+
+        def run(batches, block=block):
+            look, make = Passages(block), rows_of()
+            for b in batches:
+                rows = [r for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist()) for r in make(doc, text, [(look.items[k][0], look.items[k][1], at) for k, at in look.find(text)])]
+                if rows:
+                    yield from _table(rows, names, types).to_batches()
+
+        got = texts.mapInArrow(run, kinds)
+        out = got if out is None else out.unionByName(got)
+    return docs.sparkSession.createDataFrame([], kinds) if out is None else out
+
 
 def needle_positions(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """item_id, doc_id, depth of the items that occur in a document word for word. The items are a stated set, broadcast."""
-    j = docs.select("doc_id", "text").join(F.broadcast(items.select("item_id", F.col("text").alias("item"))), F.expr("instr(text, item) > 0"))
-    return j.select("item_id", "doc_id", (F.expr("instr(text, item) - 1") / F.length("text")).alias("depth"))
+    """item_id, doc_id, depth of the items that occur in a document word for word; the first place counts."""
+    return _passage_map(docs, items, "item_id long, doc_id long, depth double", lambda: lambda doc, text, found: [(i, doc, at / len(text)) for i, _, at in found])
 
 
 CHUNK, STRIDE = 40, 20
 
 
-def needle_hits(docs: DataFrame, items: DataFrame, specs: dict[str, QuantizerSpec | None], d: int = 192) -> DataFrame:
+def chunk_keys(text: str, slots) -> tuple[list[str], list[int], np.ndarray]:
+    """Tokens of a text, first tokens of its chunks, and the chunks' unit vectors (zero where counts cancel)."""
+    w = tokens(text)
+    starts = list(range(0, max(1, len(w) - CHUNK + STRIDE), STRIDE))
+    keys = np.array([hashed(w[s : s + CHUNK], slots) for s in starts])
+    return w, starts, keys / np.maximum(1e-300, np.linalg.norm(keys, axis=1, keepdims=True))
+
+
+def needle_hits(docs: DataFrame, items: DataFrame, caches: dict[str, CacheSpec]) -> DataFrame:
     """method, item_id, doc_id, depth, words, hit: whether the best chunk by stored keys overlaps the passage.
 
-    A document's chunks of CHUNK tokens, STRIDE apart, are its keys; the passage's own vector is the query.
+    A document's chunks of CHUNK tokens, STRIDE apart, are its keys, held in a cache with the
+    document's own outlier channels; the passage's vector is the query.
     """
-    from ..sources.tables import TokenSlots, hashed
+    first = {0: np.arange(OUTLIERS)}  # which channels are outliers is up to the document
+    sent = docs.sparkSession.sparkContext.broadcast({name: KeyValueCache(s, first) for name, s in caches.items()})
+
+    def rows_of():
+        slots = TokenSlots(WIDTH)
+
+        def rows(doc, text, found):
+            if not found:
+                return []
+            w, starts, keys = chunk_keys(text, slots)
+            own = {0: np.sort(np.lexsort((np.arange(WIDTH), -np.round((keys * keys).sum(axis=0), 9)))[:OUTLIERS])}
+            held = {"exact": keys}
+            for name, c in sent.value.items():
+                c.outliers = own
+                held[name] = c.keys(keys)
+            out = []
+            for item_id, item, place in found:
+                q, at, size = hashed(tokens(item), slots), len(tokens(text[:place])), len(tokens(item))
+                q = q / max(1e-300, np.linalg.norm(q))
+                for name, k in held.items():
+                    s = starts[int(np.round(k @ q, 9).argmax())]
+                    out.append((name, item_id, doc, at / max(1, len(w)), len(w), float(s < at + size and at < s + CHUNK)))
+            return out
 
-    j = docs.select("doc_id", "text").join(F.broadcast(items.select("item_id", F.col("text").alias("item"))), F.expr("instr(text, item) > 0"))
-    kinds = "method string, item_id long, doc_id long, depth double, words long, hit double"
+        return rows
 
-    def run(batches) -> Iterator[pa.RecordBatch]:
-        slots = TokenSlots(d)
-        for b in batches:
-            out = []
-            for doc, text, item_id, item in zip(*(b.column(n).to_pylist() for n in ("doc_id", "text", "item_id", "item"))):
-                w, q = tokens(text), hashed(tokens(item), slots)
-                at = len(tokens(text[: text.find(item)]))
-                starts = list(range(0, max(1, len(w) - CHUNK + STRIDE), STRIDE))
-                keys = np.array([hashed(w[s : s + CHUNK], slots) for s in starts])
-                q = q / max(1e-12, np.linalg.norm(q))
-                some = (keys * keys).sum(axis=1) > 0
-                for name, spec in specs.items():
-                    score = np.full(len(keys), -np.inf)
-                    unit = keys[some] / np.linalg.norm(keys[some], axis=1, keepdims=True)
-                    score[some] = unit @ q if spec is None else codec(spec).estimate(codec(spec).encode(unit), q[None, :])[:, 0]
-                    s = starts[int(np.round(score, 9).argmax())]
-                    out.append((name, item_id, doc, at / max(1, len(w)), len(w), float(s < at + len(tokens(item)) and at < s + CHUNK)))
-            if out:
-                t = _table(out, ["method", "item_id", "doc_id", "depth", "words", "hit"], [pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.float64()])
-                yield from t.to_batches()
-
-    return j.mapInArrow(run, kinds)
-
-
-def needle_grid(hits: DataFrame) -> DataFrame:
+    return _passage_map(docs, items, "method string, item_id long, doc_id long, depth double, words long, hit double", rows_of)
+
+
+def needle_grid(hits: DataFrame, by: tuple[str, ...] = ("method",)) -> DataFrame:
     """Mean hits by method, depth (fifths) and length of the context."""
     size = F.when(F.col("words") < 200, "short").when(F.col("words") < 800, "middle").otherwise("long")
-    return hits.groupBy("method", F.floor(F.col("depth") * 5).cast("int").alias("depth"), size.alias("context")).agg(F.count("*").alias("n"), F.avg("hit").alias("score"))
+    return hits.groupBy(*by, F.floor(F.col("depth") * 5).cast("int").alias("depth"), size.alias("context")).agg(F.count("*").alias("n"), F.avg("hit").alias("score"))

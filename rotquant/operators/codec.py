@@ -12,6 +12,8 @@ from ..functions.lookup import cells
 from ..functions.rotation import gaussian_projection, haar_rotation, hadamard_rotation
 from ..model import QuantizerSpec
 
+#: Steps of all rows that the exact sweep sorts at once.
+SWEEP = 1 << 20
 #: Scales that the ladder search tries, as multiples of 1 / sqrt(d).
 LADDER = 48
 
@@ -143,9 +145,12 @@ def grid_sweep(z: np.ndarray, b: int) -> np.ndarray:
     inner product and the squared norm change by known amounts at each step, so their running sums over
     the sorted steps give the cosine of every word that some scale rounds to.
     """
-    a, top = np.abs(z), 2 ** (b - 1) - 1
+    top = 2 ** (b - 1) - 1
     n, d = z.shape
-    code = np.zeros((n, d), dtype=np.int64)
+    step = max(1, SWEEP // (d * max(top, 1)))
+    if n > step:
+        return np.vstack([grid_sweep(z[at : at + step], b) for at in range(0, n, step)])
+    a, code = np.abs(z), np.zeros((n, d), dtype=np.int64)
     if top:
         k = np.arange(1, top + 1)
         with np.errstate(divide="ignore"):

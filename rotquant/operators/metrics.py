@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import QuantizerSpec, quarantined
@@ -96,7 +96,8 @@ def pair_sums(
                         hat = c.estimate(codes, q)
                         e = hat - ip
                         eta = ip / (codes["norm"][:, None] * np.linalg.norm(q, axis=1)[None, :])
-                        law = (1 - eta**2) / (s.d - 1) * (codes["zbar_sq"] / codes["rho"] ** 2 - 1)[:, None]
+                        with np.errstate(divide="ignore", invalid="ignore"):  # a sketch may leave nothing but its residual
+                            law = (1 - eta**2) / (s.d - 1) * (codes["zbar_sq"] / codes["rho"] ** 2 - 1)[:, None]
                         bin_ = np.where(e < lo, 0, np.where(e >= hi, bins + 1, np.floor((e - lo) * (bins / (hi - lo))) + 1)).astype(np.int64)
                         sums = (e.size, e.sum(), (e * e).sum(), ip.sum(), hat.sum(), (ip * ip).sum(), (ip * hat).sum(), law.sum())
                         rows.append((s.codebook, s.p, s.b, s.rescale, s.seed, *map(float, sums), np.bincount(bin_.ravel(), minlength=bins + 2).tolist(), [int((np.abs(e) > t).sum()) for t in eps]))
@@ -148,6 +149,15 @@ def recall_at(exact: DataFrame, found: DataFrame, ks: tuple[int, ...]) -> DataFr
     ).select("x.k", "x.recall")
 
 
+def recall_by_method(found: DataFrame, ks: tuple[int, ...], exact: str = "exact", by: tuple[str, ...] = ("method",)) -> DataFrame:
+    """method, k, recall from one table of ranked rows of all methods, the exact one among them. Nothing is joined."""
+    top = F.max(F.when((F.col("method") == exact) & (F.col("rank") == 1), F.col("vec_id"))).over(Window.partitionBy("query_id"))
+    hits = found.withColumn("best", top).where(F.col("method") != exact)
+    first = hits.groupBy(*by, "query_id").agg(F.min(F.when(F.col("vec_id") == F.col("best"), F.col("rank"))).alias("r"))
+    each = first.groupBy(*by).agg(*[F.avg(F.when(F.col("r") <= k, 1.0).otherwise(0.0)).alias(str(k)) for k in ks])
+    return each.select(*by, F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.col(str(k)).alias("recall")) for k in ks])).alias("x")).select(*by, "x.k", "x.recall")
+
+
 def effective_bits(spec: QuantizerSpec, side_bits: int | None = None) -> float:
     """Stored bits a dimension of the source, side scalars included."""
     code = sum(code_bits(spec))

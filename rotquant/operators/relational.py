@@ -1,20 +1,20 @@
-"""Rotation and scalar codes as joins and built-in expressions only, for users who want no Python in the plan."""
+"""Rotation and scalar codes as built-in expressions only, for users who want no Python in the plan."""
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.codebooks import gauss_scalar, sphere_scalar
-from ..sources.stores import rotation_frame
+from ..functions.rotation import haar_rotation
 
 
 def rotate_relational(vectors: DataFrame, d: int, seed: int) -> DataFrame:
-    """vec_id, z: coordinates joined with a broadcast relation of d * d numbers, and summed."""
-    r = F.broadcast(rotation_frame(vectors.sparkSession, d, seed))
-    x = vectors.select("vec_id", F.posexplode("embedding").alias("col", "x"))
-    z = x.join(r, "col").groupBy("vec_id", "row").agg(F.sum(F.col("x") * F.col("v")).alias("z"))
-    return z.groupBy("vec_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("row", "z"))), lambda s: s["z"]).alias("z"))
+    """vec_id, z: each row of the rotation, a literal of d * d numbers, times the vector. Rows stay where they are."""
+    r = F.from_json(F.lit(json.dumps(haar_rotation(d, seed).tolist())), "array<array<double>>")
+    return vectors.select("vec_id", F.transform(r, lambda row: dot(row, "embedding")).alias("z"))
 
 
 def scalar_codes(rotated: DataFrame, family: str, b: int, d: int) -> DataFrame:
@@ -32,10 +32,17 @@ def dot(a: Column | str, b: Column | str) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, v: s + v)
 
 
+#: Bytes of queries that a nested-loop join may broadcast.
+QUERY_BYTES = 64 << 20
+
+
 def exact_pairs(queries: DataFrame, database: DataFrame) -> DataFrame:
     """query_id, vec_id, ip of all pairs with a stated query set, by built-in expressions: a broadcast nested-loop join.
 
-    The query side is broadcast; callers keep it to a stated, bounded set.
+    The size of the query side is checked; larger sets go through search.topk or metrics.pair_sums, which take them in blocks.
     """
+    size = queries.agg(F.sum(8 * F.size("embedding"))).first()[0] or 0
+    if size > QUERY_BYTES:
+        raise ValueError(f"{size} bytes of queries are more than the {QUERY_BYTES} that may be broadcast")
     q = queries.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("q"))
     return database.join(F.broadcast(q)).select("query_id", "vec_id", dot("embedding", "q").alias("ip"))

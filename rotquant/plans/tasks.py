@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from functools import reduce
 
 from pyspark.sql import DataFrame, Window
@@ -11,10 +12,11 @@ from ..model import QuantizerSpec
 from ..operators import cache as C
 from ..operators import metrics as M
 from ..operators.quantize import encode
-from ..operators.search import exact_topk, topk
+from ..operators.search import exact_topk, topk_by_method
 from ..sources.tables import read_table, text_vectors
 from ..streaming.windows import event_features, sessions, tumbling, user_vectors
-from .workloads import KS, every, query, rounded
+from . import sql as S
+from .workloads import EVERY, FAMILY, SEEDS, decoded, decoded_sql, query, recall_rows, recall_tail, rounded
 
 TEXT_D = 192
 
@@ -32,58 +34,144 @@ def text_vectors_192(spark, sf_dir) -> DataFrame:
     return v.select("vec_id", F.size(F.filter("embedding", lambda x: x != 0)).cast("long").alias("filled"), F.round(moment, 6).alias("moment"))
 
 
-def _recall_text(d: int, bits: tuple[int, ...]):
+#: Dense unit vectors tv(vec_id, embedding) of the texts.
+_TEXT_VECTORS = f"""{_TEXT},
+sp AS (SELECT n.doc_id, list(i) AS i, list(v / norm) AS x FROM n JOIN c ON n.doc_id = c.doc_id GROUP BY 1),
+tv AS (SELECT doc_id AS vec_id, list_transform(range(0, {TEXT_D}), lambda k: coalesce(x[list_position(i, k)], 0e0)) AS embedding FROM sp)"""
+
+
+def wide_specs(d: int, bits, families=FAMILY, assign: str = "exact") -> list[QuantizerSpec]:
+    return [QuantizerSpec(f, "unbiased", d, p, b, assign=assign if p > 1 else "exact") for f, p in families for b in bits]
+
+
+def _texts(spark, sf_dir, d: int) -> DataFrame:
+    return text_vectors(read_table(spark, sf_dir, "documents", "doc_id", "text"), d)
+
+
+def _recall_text(d: int, specs: list[QuantizerSpec]):
     def run(spark, sf_dir):
-        v = text_vectors(read_table(spark, sf_dir, "documents", "doc_id", "text"), d).cache()  # every method reads it
-        n = every(sf_dir)
-        q, db = v.where(F.col("vec_id") % n == 0), v.where(F.col("vec_id") % n != 0)
-        exact, out = exact_topk(q, db, 1), []
-        for b in bits:
-            for family, p in (("gauss_scalar", 1), ("sphere_scalar", 1), ("grid_dir", 1), ("ball_block", 3)):
-                s = QuantizerSpec(family, "unbiased", d, p, b, assign="ladder" if family == "grid_dir" else "top" if p == 3 else "exact")
-                r = M.recall_at(exact, topk(q, encode(db, s), s, max(KS)), KS)
-                out.append(r.select(F.lit(family).alias("method"), F.lit(p).alias("p"), F.lit(b).alias("b"), "k", F.round("recall", 6).alias("recall")))
-        return reduce(DataFrame.unionByName, out)
+        v = _texts(spark, sf_dir, d)
+        return recall_rows(v.where(F.col("vec_id") % EVERY == 0), v.where(F.col("vec_id") % EVERY != 0), specs).drop("seed")
 
     return run
 
 
-query("recall_text192")(_recall_text(TEXT_D, (2, 3)))
-query("recall_text1536")(_recall_text(1536, (2,)))
+_SMALL = wide_specs(TEXT_D, (2,), [f for f in FAMILY if f != ("grid_dir", 1)])
+
+
+def _recall_text_sql() -> str:
+    """Codes of the texts by brute force; the best by the exact products of the same pairs."""
+    more = S.signbit_rows(_SIGN, EVERY, "sb2")
+    return f"""WITH {_TEXT_VECTORS},{S.base(_SMALL[0], 'tv')},{S.scalars(_SMALL)},{S.pair_rows(_SMALL, EVERY)},{more},
+pa AS (SELECT method, p, b, query_id, vec_id, ip, hat FROM pr UNION ALL SELECT method, p, b, query_id, vec_id, ip, hat FROM sb2) {recall_tail("sb2")}"""
+
+
+_SIGN = QuantizerSpec("sphere_scalar_signbit", "raw", TEXT_D, 1, 2)
+
+query("recall_text192", _recall_text_sql)(_recall_text(TEXT_D, [*_SMALL, _SIGN]))
+#: All methods; blocks of 3 are coded by their candidate lists, as books of 4096 words are long.
+query("recall_text192_all")(_recall_text(TEXT_D, [*wide_specs(TEXT_D, (2, 4), assign="top"), *(QuantizerSpec("sphere_scalar_signbit", "raw", TEXT_D, 1, b) for b in (2, 4))]))
+query("recall_text1536")(_recall_text(1536, [*wide_specs(1536, (2, 4), assign="top"), *(QuantizerSpec("sphere_scalar_signbit", "raw", 1536, 1, b) for b in (2, 4))]))
+query("recall_text3072")(_recall_text(3072, wide_specs(3072, (2,), assign="top")))
 
 
 # caches -------------------------------------------------------------------------
 
-SPECS = {
+CACHES = {
     "ball_block": C.CacheSpec(), "gauss_scalar": C.CacheSpec("gauss_scalar", 1), "grid_dir": C.CacheSpec("grid_dir", 1),
     "sphere_scalar": C.CacheSpec("sphere_scalar", 1, "raw"), "sphere_scalar_signbit": C.CacheSpec("sphere_scalar_signbit", 1, "raw"),
 }
 
 
-@query("cache_outliers", """
-WITH w AS (SELECT unnest(string_split(translate(lower(text), chr(9) || chr(10) || chr(12) || chr(13), '    '), ' ')) AS token FROM conversations),
-n AS (SELECT token, count(*) AS n FROM w WHERE token <> '' GROUP BY 1),
-k AS (SELECT h.head, c.channel, n, (CAST('0x' || substr(md5(token || ':k' || head || ':' || channel), 1, 8) AS BIGINT) / 4294967296e0 - 0.5)
-   * CASE WHEN (channel * 37 + head * 11) % 128 < 32 THEN 4 + 0.25 * (channel % 8) ELSE 1 END AS v FROM n, (VALUES (0), (1)) h(head), range(0, 128) c(channel)),
-s AS (SELECT head, channel, sqrt(sum(n * v * v)) AS norm FROM k GROUP BY 1, 2)
-SELECT CAST(head AS INTEGER) AS head, CAST(channel AS INTEGER) AS channel, CAST(row_number() OVER (PARTITION BY head ORDER BY round(norm, 9) DESC, channel) AS INTEGER) AS rank, round(norm, 6) AS norm FROM s
-QUALIFY row_number() OVER (PARTITION BY head ORDER BY round(norm, 9) DESC, channel) <= 32""")
+def seeded(methods=tuple(CACHES)) -> dict[str, C.CacheSpec]:
+    """Every method under five rotations, by name:seed."""
+    return {f"{m}:{k}": replace(CACHES[m], seed=k) for m in methods for k in SEEDS}
+
+
+def by_seed(df: DataFrame) -> DataFrame:
+    part = F.split("method", ":")
+    return df.withColumn("seed", F.coalesce(F.get(part, F.lit(1)).cast("int"), F.lit(0))).withColumn("method", part[0])
+
+
+def mean_and_std(df: DataFrame, by: tuple[str, ...], *values: str) -> DataFrame:
+    each = [x for v in values for x in (F.round(F.avg(v), 6).alias(v), F.round(F.stddev_samp(v), 6).alias(f"{v}_std"))]
+    return df.groupBy(*by).agg(F.count("*").alias("seeds"), *each)
+
+
+def _token_rows(spark, sf_dir) -> DataFrame:
+    return C.token_rows(read_table(spark, sf_dir, "conversations", "conv_id", "turn", "text"))
+
+
+def _state(kind: str) -> str:
+    """128 components of a token's state as a list, from 32 digests."""
+    scale = " * CASE WHEN (c * 37 + head * 11) % 128 < 32 THEN 4 + 0.25 * (c % 8) ELSE 1 END" if kind == "k" else ""
+    return f"list_transform([list_transform(range(0, 32), lambda g: md5(token || ':{kind}' || head || ':' || g))], lambda m: list_transform(range(0, 128), lambda c: (CAST('0x' || substr(m[c // 4 + 1], 1 + 8 * (c % 4), 8) AS BIGINT) / 4294967296e0 - 0.5){scale}))[1]"
+
+
+_TOKENS = """rw AS (SELECT conv_id, turn, unnest(string_split(translate(lower(text), chr(9) || chr(10) || chr(12) || chr(13), '    '), ' ')) AS token,
+  generate_subscripts(string_split(translate(lower(text), chr(9) || chr(10) || chr(12) || chr(13), '    '), ' '), 1) AS i FROM conversations),
+tk AS (SELECT conv_id, turn, i, token FROM rw WHERE token <> '')"""
+_CHANNELS = f"""{_TOKENS},
+hd(head) AS (VALUES (0), (1)), n AS (SELECT token, count(*) AS n FROM tk GROUP BY 1),
+ks AS (SELECT token, head, n, {_state('k')} AS k FROM n, hd),
+sq AS (SELECT head, c AS channel, sqrt(sum(n * k[c + 1] * k[c + 1])) AS norm FROM ks, range(0, 128) r(c) GROUP BY 1, 2),
+oc AS (SELECT head, channel, norm, row_number() OVER (PARTITION BY head ORDER BY round(norm, 9) DESC, channel) AS rank FROM sq)"""
+
+
+@query("cache_outliers", f"WITH {_CHANNELS} SELECT CAST(head AS INTEGER) AS head, CAST(channel AS INTEGER) AS channel, CAST(rank AS INTEGER) AS rank, round(norm, 6) AS norm FROM oc WHERE rank <= 32")
 def cache_outliers(spark, sf_dir):
-    return rounded(C.outlier_channels(C.token_rows(read_table(spark, sf_dir, "conversations", "conv_id", "turn", "text"))), "norm")
+    return rounded(C.outlier_channels(_token_rows(spark, sf_dir)), "norm")
+
+
+def _cache_sql(methods: list[str]) -> str:
+    """Attention on the stored caches of scalar methods, by literals and sums over tokens."""
+    half = lambda x: f"(round(({x}) / pow(2e0, floor(log2({x})) - 10)) * pow(2e0, floor(log2({x})) - 10))"
+    parts, rows = [], []
+    for m, name in enumerate(methods):
+        s = CACHES[name]
+        for part, d, bits, r in (("hi", 32, s.b_hi, s.rescale), ("lo", 96, s.b_lo, s.rescale), ("v", 128, s.b_value, "best")):
+            q, t = s.part(d, bits, r), f"{part}{m}"
+            parts.append(f"{t}r AS (SELECT {S.literal(S.codec(q).rotation)} AS m), {t}z AS (SELECT token, head, norm, list_transform(m, lambda r: list_dot_product(r, x) / norm) AS z FROM {part}x, {t}r)")
+            parts.append(S.coded(q, f"{t}c", f"{t}z"))
+            scale = {"raw": "1.0", "best": "list_dot_product(z, zb) / list_dot_product(zb, zb)", "unbiased": "1.0 / list_dot_product(z, zb)"}[q.rescale]
+            parts.append(f"{t} AS (SELECT token, head, {half(f'{scale} * norm')} AS f, zb FROM {t}c)")
+        turn = lambda part: f"list_transform({part}{m}r.m, lambda r: list_dot_product(r, a.{part}q))"
+        rows.append(f"""l{m} AS (SELECT a.conv_id, a.head, (h.f * list_dot_product(h.zb, a.hr) + o.f * list_dot_product(o.zb, a.lr)) / sqrt(128e0) AS l, t.n, t.token
+  FROM (SELECT a.*, {turn('hi')} AS hr, {turn('lo')} AS lr FROM ask a, hi{m}r, lo{m}r) a JOIN ct t ON t.conv_id = a.conv_id JOIN hi{m} h ON h.token = t.token AND h.head = a.head JOIN lo{m} o ON o.token = t.token AND o.head = a.head),
+o{m} AS (SELECT l.conv_id, l.head, c, sum(n * exp(l) * v.f * v.zb[c + 1]) / sum(n * exp(l)) AS x FROM l{m} l JOIN v{m} v ON v.token = l.token AND v.head = l.head, range(0, 128) r(c) GROUP BY 1, 2, 3),
+t{m} AS (SELECT conv_id, head, list(x ORDER BY c) AS x FROM e GROUP BY 1, 2), y{m} AS (SELECT conv_id, head, list_transform(m, lambda r: list_dot_product(r, x)) AS x FROM t{m}, v{m}r),
+d{m} AS (SELECT o.conv_id, o.head, sqrt(sum(pow(o.x - y.x[o.c + 1], 2))) / sqrt(sum(pow(y.x[o.c + 1], 2))) AS rel FROM o{m} o JOIN y{m} y ON y.conv_id = o.conv_id AND y.head = o.head GROUP BY 1, 2),
+g{m} AS (SELECT l.conv_id, l.head, sqrt(sum(l.n * pow(l.l - e.l, 2)) / sum(l.n)) AS le FROM l{m} l JOIN le e ON e.conv_id = l.conv_id AND e.head = l.head AND e.token = l.token GROUP BY 1, 2)""")
+    out = " UNION ALL ".join(f"SELECT '{name}' AS method, count(*) AS n, round(avg(rel), 6) AS output_error, round(avg(le), 6) AS logit_error FROM d{m} d JOIN g{m} g ON g.conv_id = d.conv_id AND g.head = d.head" for m, name in enumerate(methods))
+    pick = lambda inside, x: f"list_transform(list_filter(range(0, 128), lambda c: {'' if inside else 'NOT '}list_contains(cs, c)), lambda c: {x}[c + 1])"
+    return f"""WITH {_CHANNELS},
+ch AS (SELECT head, list(channel) AS cs FROM oc WHERE rank <= 32 GROUP BY 1),
+hix AS (SELECT token, ks.head, {pick(True, 'k')} AS x, sqrt(list_dot_product(x, x)) AS norm FROM ks JOIN ch ON ch.head = ks.head),
+lox AS (SELECT token, ks.head, {pick(False, 'k')} AS x, sqrt(list_dot_product(x, x)) AS norm FROM ks JOIN ch ON ch.head = ks.head),
+vx AS (SELECT token, head, {_state('v')} AS x, sqrt(list_dot_product(x, x)) AS norm FROM n, hd),
+la AS (SELECT conv_id, arg_max(token, turn * 1000000 + i) AS token FROM tk GROUP BY 1),
+aq AS (SELECT conv_id, head, {_state('q')} AS q FROM la, hd),
+ask AS (SELECT conv_id, aq.head, q, {pick(True, 'q')} AS hiq, {pick(False, 'q')} AS loq FROM aq JOIN ch ON ch.head = aq.head),
+ct AS (SELECT conv_id, token, count(*) AS n FROM tk GROUP BY 1, 2),
+le AS (SELECT a.conv_id, a.head, t.token, t.n, list_dot_product(a.q, k.k) / sqrt(128e0) AS l FROM ask a JOIN ct t ON t.conv_id = a.conv_id JOIN ks k ON k.token = t.token AND k.head = a.head),
+e AS (SELECT l.conv_id, l.head, c, sum(n * exp(l) * v.x[c + 1]) / sum(n * exp(l)) AS x FROM le l JOIN vx v ON v.token = l.token AND v.head = l.head, range(0, 128) r(c) GROUP BY 1, 2, 3),
+{','.join(parts)}, {','.join(rows)} {out}"""
+
+
+@query("cache_scalar_error", lambda: _cache_sql(["gauss_scalar", "sphere_scalar"]))
+def cache_scalar_error(spark, sf_dir):
+    """Errors of logits and of attention outputs on caches of two scalar methods."""
+    rows = _token_rows(spark, sf_dir)
+    e = C.attention_error(C.attend(rows, C.outlier_channels(rows), {m: CACHES[m] for m in ("gauss_scalar", "sphere_scalar")}))
+    return rounded(e, "output_error", "logit_error")
 
 
 @query("cache_attention_error")
 def cache_attention_error(spark, sf_dir):
-    rows = C.token_rows(read_table(spark, sf_dir, "conversations", "conv_id", "turn", "text"))
-    return rounded(C.attention_error(C.attend(rows, C.outlier_channels(rows), SPECS)), "output_error", "logit_error")
-
-
-@query("cache_seeds")
-def cache_seeds(spark, sf_dir):
-    """Five rotations of the ball-block cache: mean and deviation of its errors."""
-    rows = C.token_rows(read_table(spark, sf_dir, "conversations", "conv_id", "turn", "text"))
-    e = C.attention_error(C.attend(rows, C.outlier_channels(rows), {str(s): C.CacheSpec(seed=s) for s in range(5)}))
-    return rounded(M.seed_summary(e.withColumn("what", F.lit("ball_block")), "output_error", ("what",)), "mean", "std")
+    """All methods at one budget, five rotations each: mean and deviation of the errors."""
+    rows = _token_rows(spark, sf_dir)
+    e = C.attention_error(C.attend(rows, C.outlier_channels(rows), seeded()))
+    return mean_and_std(by_seed(e), ("method", "n"), "output_error", "logit_error")
 
 
 @query("cache_bits", "SELECT 'keys' AS part, (32 * 4 + 96 * 3 + 2 * 16) / 128e0 AS bits UNION ALL SELECT 'values', (128 * 2 + 16) / 128e0")
@@ -99,61 +187,87 @@ def needle_positions(spark, sf_dir):
 
 @query("needle_grid")
 def needle_grid(spark, sf_dir):
-    make = lambda f, p, r: QuantizerSpec(f, r, TEXT_D, p, 3, assign="ladder" if f == "grid_dir" else "exact")
-    specs = {"exact": None, "ball_block": make("ball_block", 3, "unbiased"), "gauss_scalar": make("gauss_scalar", 1, "unbiased"), "grid_dir": make("grid_dir", 1, "unbiased"), "sphere_scalar": make("sphere_scalar", 1, "raw")}
+    """Hits by method, depth and context on caches at 3.5 bits a key channel, mean and deviation over five rotations."""
     docs, items = read_table(spark, sf_dir, "documents", "doc_id", "text"), read_table(spark, sf_dir, "benchmark", "item_id", "text")
-    return rounded(C.needle_grid(C.needle_hits(docs, items, specs)), "score")
+    grid = C.needle_grid(by_seed(C.needle_hits(docs, items, seeded())), ("method", "seed"))
+    return mean_and_std(grid, ("method", "depth", "context", "n"), "score")
+
+
+@query("needle_scores")
+def needle_scores(spark, sf_dir):
+    """One score a method, with its deviation over five rotations."""
+    docs, items = read_table(spark, sf_dir, "documents", "doc_id", "text"), read_table(spark, sf_dir, "benchmark", "item_id", "text")
+    hits = by_seed(C.needle_hits(docs, items, seeded())).groupBy("method", "seed").agg(F.avg("hit").alias("score"))
+    return mean_and_std(hits, ("method",), "score")
 
 
 # task groups --------------------------------------------------------------------
 
 WEIGHTS = {"lang": 2.0, "quality": 2.0, "toxic": 2.0, "near_copy": 3.0, "passage": 2.0, "turn": 2.0}
+NEAREST = 10
 
 
-def _groups(spark, sf_dir, s: QuantizerSpec | None, k: int = 10) -> DataFrame:
-    """group, score of one method (None: full precision)."""
-    find = lambda q, db: exact_topk(q, db, k) if s is None else topk(q, encode(db, s), s, k)
-    docs, n = read_table(spark, sf_dir, "documents", "doc_id", "text", "lang"), every(sf_dir)
-    v = text_vectors(docs, TEXT_D)
-    q, db = v.where(F.col("vec_id") % n == 0), v.where(F.col("vec_id") % n != 0)
-    found, truth = find(q, db), exact_topk(q, db, k)
-    first = found.where("rank = 1")
-    one = lambda df, name, value: df.select(F.lit(name).alias("task"), value.alias("score"))
-    lang = docs.select(F.col("doc_id").alias("i"), "lang")
-    a = first.join(lang.withColumnsRenamed({"i": "query_id", "lang": "ql"}), "query_id").join(lang.withColumnsRenamed({"i": "vec_id", "lang": "vl"}), "vec_id")
-    out = [one(a.agg(F.avg((F.col("ql") == F.col("vl")).cast("double")).alias("s")), "lang", F.col("s"))]
+def turn_vectors(spark, sf_dir, d: int) -> DataFrame:
+    """Vectors of all turns; ids leave room for as many turns as positions can name."""
+    turns = read_table(spark, sf_dir, "conversations", "conv_id", "turn", "text").withColumn("id", F.col("conv_id") * C.TURN + F.col("turn"))
+    return text_vectors(turns, d, "id")
+
+
+def task_groups(spark, sf_dir, methods: dict, d: int, k: int = NEAREST) -> DataFrame:
+    """method, task, score: six groups, each from one scan for all methods ('exact' among them).
+
+    lang, quality and toxic: whether the nearest text has the query's label (toxic balanced over its
+    two values); near_copy: share of the neighbours of 0.8 and more that are found; passage: share of the
+    benchmark's passages for which a text that holds them is found; turn: share of turns whose
+    predecessor is found among all turns.
+    """
+    docs = read_table(spark, sf_dir, "documents", "doc_id", "text", "lang")
+    v = text_vectors(docs, d)
+    q, db = v.where(F.col("vec_id") % EVERY == 0), v.where(F.col("vec_id") % EVERY != 0)
     labels = read_table(spark, sf_dir, "labels", "doc_id", "quality", "toxic")
-    known = db.join(labels, F.col("vec_id") == F.col("doc_id"), "left_semi")
-    near = find(q.join(labels, F.col("vec_id") == F.col("doc_id"), "left_semi"), known).where("rank = 1")
-    both = near.join(labels.select(F.col("doc_id").alias("query_id"), F.col("quality").alias("q0"), F.col("toxic").alias("t0")), "query_id").join(labels.select(F.col("doc_id").alias("vec_id"), "quality", "toxic"), "vec_id")
-    out.append(one(both.agg(F.avg((F.col("q0") == F.col("quality")).cast("double")).alias("s")), "quality", F.col("s")))
-    balanced = both.groupBy("t0").agg(F.avg((F.col("t0") == F.col("toxic")).cast("double")).alias("r")).agg(F.avg("r").alias("s"))
-    out.append(one(balanced, "toxic", F.col("s")))
-    copies = truth.where("score >= 0.8").select("query_id", "vec_id")
-    kept = copies.join(found.select("query_id", "vec_id", F.lit(1.0).alias("hit")), ["query_id", "vec_id"], "left")
-    out.append(one(kept.agg(F.avg(F.coalesce("hit", F.lit(0.0))).alias("s")), "near_copy", F.col("s")))
+    known = lambda x: x.join(labels, F.col("vec_id") == F.col("doc_id"), "left_semi")
+
+    def with_labels(found: DataFrame, of: DataFrame, *cols: str) -> DataFrame:
+        own, other = of.select(F.col("doc_id").alias("query_id"), *[F.col(c).alias(f"q_{c}") for c in cols]), of.select(F.col("doc_id").alias("vec_id"), *cols)
+        return found.where("rank = 1").join(own, "query_id").join(other, "vec_id")
+
+    def one(df: DataFrame, name: str, score) -> DataFrame:
+        return df.groupBy("method").agg(F.avg(score).alias("score")).select("method", F.lit(name).alias("task"), "score")
+
+    same = lambda c: (F.col(c) == F.col(f"q_{c}")).cast("double")
+    found = topk_by_method(q, db, methods, k)
+    near = with_labels(topk_by_method(known(q), known(db), methods, 1), labels, "quality", "toxic")
+    balanced = near.groupBy("method", "q_toxic").agg(F.avg(same("toxic")).alias("r"))
+    true = F.max(F.when((F.col("method") == "exact") & (F.col("score") >= 0.8), 1)).over(Window.partitionBy("query_id", "vec_id"))
+    copies = found.withColumn("copy", true).where("copy = 1").groupBy("method").agg(F.count("*").alias("hits"))
+    share = copies.withColumn("all", F.max(F.when(F.col("method") == "exact", F.col("hits"))).over(Window.partitionBy()))  # one row a method
     items = read_table(spark, sf_dir, "benchmark", "item_id", "text")
-    holds = C.needle_positions(docs, items).select("item_id", "doc_id").distinct()
-    asked = find(text_vectors(items, TEXT_D, "item_id"), v).select(F.col("query_id").alias("item_id"), F.col("vec_id").alias("doc_id"), F.lit(1.0).alias("hit"))
-    got = holds.join(asked, ["item_id", "doc_id"], "left").groupBy("item_id").agg(F.max(F.coalesce("hit", F.lit(0.0))).alias("h"))
-    out.append(one(got.agg(F.avg("h").alias("s")), "passage", F.col("s")))
-    turns = read_table(spark, sf_dir, "conversations", "conv_id", "turn", "text").withColumn("id", F.col("conv_id") * 1000 + F.col("turn"))
-    tv = text_vectors(turns, TEXT_D, "id")
-    tq = tv.where((F.col("vec_id") % 1000 > 0) & (F.floor(F.col("vec_id") / 1000) % n == 0))
-    f = find(tq, tv.where(F.floor(F.col("vec_id") / 1000) % n == 0)).where("query_id <> vec_id")
-    hit = tq.select(F.col("vec_id").alias("query_id")).join(f.where("vec_id = query_id - 1").select("query_id", F.lit(1.0).alias("hit")), "query_id", "left")
-    out.append(one(hit.agg(F.avg(F.coalesce("hit", F.lit(0.0))).alias("s")), "turn", F.col("s")))
-    return reduce(DataFrame.unionByName, out)
+    holds = C.needle_positions(docs, items).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("vec_id"), F.lit(1.0).alias("hit"))
+    asked = topk_by_method(text_vectors(items, d, "item_id"), v, methods, k).join(holds, ["query_id", "vec_id"], "left")
+    got = asked.join(holds.select("query_id").distinct(), "query_id", "left_semi").groupBy("method", "query_id").agg(F.max(F.coalesce("hit", F.lit(0.0))).alias("hit"))
+    tv = turn_vectors(spark, sf_dir, d)
+    asks = tv.where((F.col("vec_id") % C.TURN > 0) & (F.floor(F.col("vec_id") / C.TURN) % EVERY == 0))
+    before = topk_by_method(asks, tv, methods, k + 1).where("query_id <> vec_id").groupBy("method", "query_id").agg(F.max((F.col("vec_id") == F.col("query_id") - 1).cast("double")).alias("hit"))
+    return reduce(DataFrame.unionByName, [
+        one(with_labels(found, docs.select("doc_id", "lang"), "lang"), "lang", same("lang")), one(near, "quality", same("quality")), one(balanced, "toxic", F.col("r")),
+        share.select("method", F.lit("near_copy").alias("task"), (F.col("hits") / F.col("all")).alias("score")), one(got, "passage", F.col("hit")), one(before, "turn", F.col("hit")),
+    ])
+
+
+def weighted(rows: DataFrame, by: tuple[str, ...]) -> DataFrame:
+    """rows and their weighted means."""
+    weight = F.element_at(F.create_map(*[F.lit(x) for kv in WEIGHTS.items() for x in kv]), F.col("task"))
+    mean = rows.groupBy(*by).agg((F.sum(F.col("score") * weight) / F.sum(weight)).alias("score")).select(*by, F.lit("weighted").alias("task"), "score")
+    return rows.select(*by, "task", "score").unionByName(mean)
 
 
 @query("task_scores")
 def task_scores(spark, sf_dir):
-    """Six task groups by method, and their weighted mean."""
-    specs = {"exact": None, "ball_block": QuantizerSpec("ball_block", "unbiased", TEXT_D, 3, 2), "gauss_scalar": QuantizerSpec("gauss_scalar", "unbiased", TEXT_D, 1, 2), "grid_dir": QuantizerSpec("grid_dir", "unbiased", TEXT_D, 1, 2, assign="ladder"), "sphere_scalar": QuantizerSpec("sphere_scalar", "raw", TEXT_D, 1, 2)}
-    rows = reduce(DataFrame.unionByName, [_groups(spark, sf_dir, s).withColumn("method", F.lit(m)) for m, s in specs.items()])
-    weight = F.element_at(F.create_map(*[F.lit(x) for kv in WEIGHTS.items() for x in kv]), F.col("task"))
-    mean = rows.groupBy("method").agg((F.sum(F.col("score") * weight) / F.sum(weight)).alias("score")).select(F.lit("weighted").alias("task"), "score", "method")
-    return rounded(rows.unionByName(mean).select("method", "task", "score"), "score")
+    """Six task groups on keys at 3.5 bits a channel, by method, with their weighted mean: mean and deviation over five rotations."""
+    own = C.outlier_dimensions(_texts(spark, sf_dir, C.WIDTH))
+    caches = {"exact": None} | {name: C.KeyValueCache(s, own) for name, s in seeded().items()}
+    rows = weighted(by_seed(task_groups(spark, sf_dir, caches, C.WIDTH)), ("method", "seed"))
+    return mean_and_std(rows, ("method", "task"), "score")
 
 
 @query("task_lang_exact", f"""WITH {_TEXT},
@@ -162,7 +276,7 @@ f AS (SELECT doc_id, list_transform(range(0, {TEXT_D}), lambda k: coalesce(x[lis
 p AS (SELECT q.doc_id AS query_id, d.doc_id, row_number() OVER (PARTITION BY q.doc_id ORDER BY round(list_dot_product(q.x, d.x), 9) DESC, d.doc_id) AS r FROM f q JOIN f d ON q.doc_id % 10 = 0 AND d.doc_id % 10 <> 0)
 SELECT count(*) AS n, round(avg(CASE WHEN a.lang = b.lang THEN 1.0 ELSE 0.0 END), 6) AS score FROM p JOIN documents a ON a.doc_id = query_id JOIN documents b ON b.doc_id = p.doc_id WHERE r = 1""")
 def task_lang_exact(spark, sf_dir):
-    docs, n = read_table(spark, sf_dir, "documents", "doc_id", "text", "lang"), every(sf_dir)
+    docs, n = read_table(spark, sf_dir, "documents", "doc_id", "text", "lang"), EVERY
     v = text_vectors(docs, TEXT_D)
     first = exact_topk(v.where(F.col("vec_id") % n == 0), v.where(F.col("vec_id") % n != 0), 1)
     lang = docs.select("doc_id", "lang")
@@ -187,13 +301,24 @@ def event_sessions(spark, sf_dir):
     return s.groupBy("user_id").agg(F.count("*").alias("sessions"), F.max("n").alias("longest"))
 
 
-@query("norm_roundtrip", """WITH c AS (SELECT user_id, event_type, CAST(count(*) AS DOUBLE) AS n FROM events GROUP BY 1, 2), m AS (SELECT user_id, avg(value) AS v FROM events GROUP BY 1)
-SELECT m.user_id AS vec_id, round(sqrt(sum(n * n) + any_value(v * v)), 6) AS norm FROM c JOIN m ON c.user_id = m.user_id GROUP BY 1""")
+_USERS = """uc AS (SELECT user_id, event_type, CAST(count(*) AS DOUBLE) AS n FROM events GROUP BY 1, 2), ut AS (SELECT DISTINCT event_type FROM events),
+uu AS (SELECT user_id, avg(value) AS v FROM events GROUP BY 1),
+ul AS (SELECT uu.user_id, any_value(uu.v) AS v, list(coalesce(n, 0e0) ORDER BY ut.event_type) AS ns FROM uu CROSS JOIN ut LEFT JOIN uc ON uc.user_id = uu.user_id AND uc.event_type = ut.event_type GROUP BY 1),
+uv AS (SELECT user_id AS vec_id, list_concat(ns, [v]) AS embedding FROM ul)"""
+
+
+def _users_spec() -> QuantizerSpec:
+    return QuantizerSpec("ball_block", "raw", 6, 3, 3)
+
+
+@query("norm_roundtrip", lambda: f"""WITH {_USERS},{decoded_sql(_users_spec(), 'uv', 'TRUE')}
+SELECT rescale, vec_id, round(sqrt(list_dot_product(e, e)), 6) AS norm, round(sqrt(list_sum(list_transform(list_zip(e, xhat), lambda p: pow(p[1] - p[2], 2))) / list_dot_product(e, e)), 6) AS away FROM xd""")
 def norm_roundtrip(spark, sf_dir):
-    """Vectors of any length: the norm that the codes keep is the vector's own."""
-    v = user_vectors(event_features(read_table(spark, sf_dir, "events", "user_id", "event_type", "value")))
-    codes = encode(v, QuantizerSpec("ball_block", "best", 6, 3, 4, assign="exact"))
-    return rounded(codes.select("vec_id", "norm"), "norm")
+    """Vectors of any length through codes and back: norms are kept, and errors are relative to them."""
+    v = user_vectors(event_features(read_table(spark, sf_dir, "events", "user_id", "event_type", "value"))).select("vec_id", "embedding")
+    norms = encode(v, _users_spec()).select("vec_id", "norm")
+    d = decoded(v, _users_spec(), 12).join(norms, "vec_id")
+    return d.select("rescale", "vec_id", F.round("norm", 6).alias("norm"), F.round(F.sqrt("err") / F.col("norm"), 6).alias("away"))
 
 
 @query("event_asof", """WITH c AS (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click'), p AS (SELECT user_id, ts, value FROM events WHERE event_type = 'purchase')

@@ -9,17 +9,22 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry_module
+from rotquant.functions.passages import Passages
 from rotquant.model import QuantizerSpec
 from rotquant.operators import cache as C
+from rotquant.operators import relational
+from rotquant.operators.codec import codec
 from rotquant.operators.quantize import encode
+from rotquant.operators.search import exact_topk, split, topk, topk_by_method
 from rotquant.plans import registry
+from rotquant.plans.tasks import WEIGHTS, task_groups
 from rotquant.sources.tables import VECTOR_SCHEMA, read_stream, read_table, read_vectors
 from rotquant.streaming.codes import encode_stream, growing_cache, write_stream
 from rotquant.streaming.windows import sessions, sliding, tumbling, without_repeats
 
 SF = "/root/testdata/sf0.01"
 TABLES = "embeddings documents events conversations benchmark labels".split()
-CHEAP = ["normalize_vectors", "exact_topk", "rotate_relational", "gs_codes_b3", "gr_codes_b2", "bb3_codes_b2", "codes_catalyst_b2", "mse_by_method", "ip_error_stats", "ratio_law", "failure_rate", "recall_2bit", "signbit_estimate_stats", "pack_unpack", "text_vectors_192", "cache_outliers", "event_sessions", "event_asof", "theory_table", "shannon_gap"]
+CHEAP = ["normalize_vectors", "exact_topk", "rotate_relational", "gs_codes_b3", "gr_sweep_codes_b3", "gr_ladder_codes_b2", "bb1_codes_b2", "bb3_codes_b2", "codes_catalyst_b2", "mse_by_method", "ip_error_stats", "ratio_law", "failure_rate", "recall_2bit", "recall_signbit", "decode_bb3", "norm_roundtrip", "error_cdf", "seed_summary", "lookup_agreement", "theory_computed", "full_sphere_bounds", "signbit_estimate_stats", "needle_positions", "pack_unpack", "text_vectors_192", "cache_outliers", "event_sessions", "event_asof", "theory_table", "shannon_gap"]
 
 
 @pytest.fixture(scope="module")
@@ -81,10 +86,58 @@ def test_attention_in_parts_is_attention(spark, tokens, monkeypatch):
 
 def test_needles_are_found_at_full_precision(spark):
     docs, items = read_table(spark, SF, "documents", "doc_id", "text"), read_table(spark, SF, "benchmark", "item_id", "text")
-    hits = C.needle_hits(docs, items, {"exact": None, "coarse": QuantizerSpec("sphere_scalar", "unbiased", 192, 1, 3)})
+    hits = C.needle_hits(docs, items, {"coarse": C.CacheSpec("sphere_scalar", 1)}).cache()
     score = {r["method"]: r["s"] for r in hits.groupBy("method").agg(F.avg("hit").alias("s")).collect()}
     assert score["exact"] == 1 and score["coarse"] > 0.9
     assert hits.where("method = 'exact'").count() == C.needle_positions(docs, items).count()
+    hits.unpersist()
+
+
+def test_passages_are_found_at_their_first_place():
+    texts = ["", "ab", "x the passage y the passage", "é the passage", "short ab"]
+    look = Passages([(7, "the passage"), (8, "ab"), (9, ""), (10, "the passage y")])
+    for t in texts:
+        want = [(k, t.find(item)) for k, (_, item, _) in enumerate(look.items) if item in t]
+        assert look.find(t) == want
+    assert look.find(None) == []
+
+
+def test_cache_scales_have_sixteen_bits():
+    x = np.random.default_rng(0).standard_normal((5, 32))
+    for m in ("gauss_scalar", "sphere_scalar_signbit"):
+        c = codec(C.CacheSpec(m, 1, "raw").part(32, 3))
+        near = C.stored(c, x)
+        e = c.encode(x)
+        assert np.allclose(near, c.decode(e), rtol=2e-3, atol=2e-3) and not np.array_equal(near, c.decode(e))
+
+
+def test_one_scan_serves_all_methods(spark):
+    """The best rows of one scan are those of stored codes, whatever the number of partitions."""
+    v = read_vectors(spark, SF)
+    q, db = split(v, 10)
+    s = QuantizerSpec("sphere_scalar", "unbiased", 64, 1, 2)
+    both = topk_by_method(q, db.repartition(5), {"exact": None, "ss": s}, 5)
+    one = {tuple(r) for r in topk(q, encode(db, s), s, 5).collect()}
+    assert {tuple(r)[1:] for r in both.where("method = 'ss'").collect()} == one
+    assert {tuple(r)[1:] for r in both.where("method = 'exact'").collect()} == {tuple(r) for r in exact_topk(q, db, 5).collect()}
+
+
+def test_split_does_not_depend_on_the_folder(spark, tmp_path):
+    read_table(spark, SF, "embeddings").write.parquet(str(tmp_path / "other" / "embeddings.parquet"))
+    here, there = (sorted(map(tuple, registry.queries()["split_queries"](spark, x).collect())) for x in (SF, str(tmp_path / "other")))
+    assert here == there
+
+
+def test_large_query_sets_are_not_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(relational, "QUERY_BYTES", 1000)
+    with pytest.raises(ValueError):
+        relational.exact_pairs(*split(read_vectors(spark, SF), 10))
+
+
+def test_task_groups_of_the_exact_method(spark):
+    """Near copies are all found at full precision; the other groups lie between chance and one."""
+    got = {r["task"]: r["score"] for r in task_groups(spark, "/root/testdata/sf0.001", {"exact": None}, 128).collect()}
+    assert set(got) == set(WEIGHTS) and got["near_copy"] == 1 and all(0 <= x <= 1 for x in got.values()) and got["lang"] > 0.7
 
 
 # streams --------------------------------------------------------------------------
