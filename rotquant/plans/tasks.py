@@ -201,6 +201,27 @@ def needle_scores(spark, sf_dir):
     return mean_and_std(hits, ("method",), "score")
 
 
+_WORDS = "list_filter(string_split(translate(lower({x}), chr(9) || chr(10) || chr(12) || chr(13), '    '), ' '), lambda w: w <> '')"
+_SLOT = f"CAST('0x' || substr(md5(w), 1, 8) AS BIGINT) % {C.WIDTH} AS i, sum(CASE WHEN CAST('0x' || substr(md5(w), 9, 1) AS BIGINT) % 2 = 0 THEN 1 ELSE -1 END) AS v"
+
+
+@query("needle_exact", f"""WITH j AS (SELECT CAST(doc_id AS BIGINT) AS doc_id, CAST(item_id AS BIGINT) AS item_id, {_WORDS.format(x="d.text")} AS ws, {_WORDS.format(x="b.text")} AS qs,
+  len({_WORDS.format(x="substr(d.text, 1, strpos(d.text, b.text) - 1)")}) AS pos FROM documents d, benchmark b WHERE contains(d.text, b.text)),
+ch AS (SELECT doc_id, item_id, ws, unnest(range(0, greatest(1, len(ws) - {C.CHUNK - C.STRIDE}), {C.STRIDE})) AS s FROM j),
+ct AS (SELECT doc_id, item_id, s, unnest(list_slice(ws, s + 1, s + {C.CHUNK})) AS w FROM ch), cv AS (SELECT doc_id, item_id, s, {_SLOT} FROM ct GROUP BY 1, 2, 3, 4),
+qt AS (SELECT doc_id, item_id, unnest(qs) AS w FROM j), qv AS (SELECT doc_id, item_id, {_SLOT} FROM qt GROUP BY 1, 2, 3), qn AS (SELECT doc_id, item_id, sqrt(CAST(sum(v * v) AS DOUBLE)) AS norm FROM qv GROUP BY 1, 2),
+cn AS (SELECT cv.doc_id, cv.item_id, s, sum(cv.v * coalesce(qv.v, 0)) / sqrt(CAST(sum(cv.v * cv.v) AS DOUBLE)) AS ip FROM cv LEFT JOIN qv ON qv.doc_id = cv.doc_id AND qv.item_id = cv.item_id AND qv.i = cv.i GROUP BY 1, 2, 3 HAVING sum(cv.v * cv.v) > 0),
+sc AS (SELECT ch.doc_id, ch.item_id, ch.s, coalesce(round(ip / norm, 9), 0e0) AS ip FROM ch JOIN qn ON qn.doc_id = ch.doc_id AND qn.item_id = ch.item_id LEFT JOIN cn ON cn.doc_id = ch.doc_id AND cn.item_id = ch.item_id AND cn.s = ch.s),
+bs AS (SELECT doc_id, item_id, s FROM sc QUALIFY row_number() OVER (PARTITION BY doc_id, item_id ORDER BY ip DESC, s) = 1),
+h AS (SELECT CAST(floor(pos / greatest(1, len(ws)) * 5) AS INTEGER) AS depth, CASE WHEN len(ws) < 200 THEN 'short' WHEN len(ws) < 800 THEN 'middle' ELSE 'long' END AS context,
+  CASE WHEN s < pos + len(qs) AND pos < s + {C.CHUNK} THEN 1.0 ELSE 0.0 END AS hit FROM bs JOIN j ON j.doc_id = bs.doc_id AND j.item_id = bs.item_id)
+SELECT 'exact' AS method, depth, context, count(*) AS n, round(avg(hit), 6) AS score FROM h GROUP BY ALL""")
+def needle_exact(spark, sf_dir):
+    """The grid of the full-precision keys."""
+    docs, items = read_table(spark, sf_dir, "documents", "doc_id", "text"), read_table(spark, sf_dir, "benchmark", "item_id", "text")
+    return rounded(C.needle_grid(C.needle_hits(docs, items, {})), "score")
+
+
 # task groups --------------------------------------------------------------------
 
 WEIGHTS = {"lang": 2.0, "quality": 2.0, "toxic": 2.0, "near_copy": 3.0, "passage": 2.0, "turn": 2.0}
@@ -261,6 +282,40 @@ def weighted(rows: DataFrame, by: tuple[str, ...]) -> DataFrame:
     return rows.select(*by, "task", "score").unionByName(mean)
 
 
+def _vectors_sql(tag: str, table: str, name: str, d: int) -> str:
+    """v{tag}(id, e): unit vectors of the texts of a table."""
+    return f"""t{tag} AS (SELECT {name} AS id, unnest({_WORDS.format(x="text")}) AS w FROM {table}), c{tag} AS (SELECT id, {_SLOT} FROM t{tag} GROUP BY 1, 2),
+n{tag} AS (SELECT id, sqrt(CAST(sum(v * v) AS DOUBLE)) AS norm FROM c{tag} GROUP BY 1 HAVING sum(v * v) > 0),
+s{tag} AS (SELECT n.id, list(i) AS i, list(v / norm) AS x FROM n{tag} n JOIN c{tag} c ON n.id = c.id GROUP BY 1),
+v{tag} AS (SELECT id, list_transform(range(0, {d}), lambda k: coalesce(x[list_position(i, k)], 0e0)) AS e FROM s{tag})"""
+
+
+def _near_sql(out: str, asks: str, rows: str, k: int) -> str:
+    return f"""{out} AS (SELECT q.id AS q, d.id AS d, round(list_dot_product(q.e, d.e), 9) AS ip, row_number() OVER (PARTITION BY q.id ORDER BY round(list_dot_product(q.e, d.e), 9) DESC, d.id) AS r
+ FROM ({asks}) q, ({rows}) d QUALIFY r <= {k})"""
+
+
+@query("task_exact", lambda: f"""WITH {_vectors_sql('d', 'documents', 'CAST(doc_id AS BIGINT)', C.WIDTH)},{_vectors_sql('i', 'benchmark', 'CAST(item_id AS BIGINT)', C.WIDTH)},
+{_vectors_sql('u', 'conversations', f'CAST(conv_id AS BIGINT) * {C.TURN} + turn', C.WIDTH)},
+{_near_sql('f', f'SELECT * FROM vd WHERE id % {EVERY} = 0', f'SELECT * FROM vd WHERE id % {EVERY} <> 0', NEAREST)},
+{_near_sql('k', f'SELECT * FROM vd WHERE id % {EVERY} = 0 AND id IN (SELECT doc_id FROM labels)', f'SELECT * FROM vd WHERE id % {EVERY} <> 0 AND id IN (SELECT doc_id FROM labels)', 1)},
+{_near_sql('p', 'SELECT * FROM vi', 'SELECT * FROM vd', NEAREST)},
+{_near_sql('b', f'SELECT * FROM vu WHERE id % {C.TURN} > 0 AND id // {C.TURN} % {EVERY} = 0', 'SELECT * FROM vu', NEAREST + 1)},
+l AS (SELECT a.toxic AS t0, CAST(a.quality = x.quality AS INTEGER) AS same_q, CAST(a.toxic = x.toxic AS INTEGER) AS same_t FROM k JOIN labels a ON a.doc_id = k.q JOIN labels x ON x.doc_id = k.d),
+h AS (SELECT item_id, doc_id FROM benchmark i, documents d WHERE contains(d.text, i.text)),
+s AS (SELECT 'lang' AS task, avg(CAST(a.lang = x.lang AS INTEGER)) AS score FROM f JOIN documents a ON a.doc_id = f.q JOIN documents x ON x.doc_id = f.d WHERE r = 1
+ UNION ALL SELECT 'quality', avg(same_q) FROM l UNION ALL SELECT 'toxic', avg(m) FROM (SELECT avg(same_t) AS m FROM l GROUP BY t0)
+ UNION ALL SELECT 'near_copy', count(*) FILTER (ip >= 0.8) / CAST(count(*) FILTER (ip >= 0.8) AS DOUBLE) FROM f
+ UNION ALL SELECT 'passage', avg(m) FROM (SELECT q, max(CASE WHEN h.doc_id IS NULL THEN 0 ELSE 1 END) AS m FROM p LEFT JOIN h ON h.item_id = p.q AND h.doc_id = p.d WHERE q IN (SELECT item_id FROM h) GROUP BY q)
+ UNION ALL SELECT 'turn', avg(m) FROM (SELECT q, max(CAST(d = q - 1 AS INTEGER)) AS m FROM b WHERE q <> d GROUP BY q))
+SELECT 'exact' AS method, task, round(score, 6) AS score FROM s
+UNION ALL SELECT 'exact', 'weighted', round(sum(score * CASE task WHEN 'near_copy' THEN 3 ELSE 2 END) / sum(CASE task WHEN 'near_copy' THEN 3 ELSE 2 END), 6) FROM s""")
+def task_exact(spark, sf_dir):
+    """The six groups at full precision."""
+    rows = task_groups(spark, sf_dir, {"exact": None}, C.WIDTH)
+    return rounded(weighted(rows, ("method",)), "score")
+
+
 @query("task_scores")
 def task_scores(spark, sf_dir):
     """Six task groups on keys at 3.5 bits a channel, by method, with their weighted mean: mean and deviation over five rotations."""
