@@ -4,13 +4,9 @@ from __future__ import annotations
 
 import numpy as np
 
-KEY = 8
-_MULT = np.uint64(0x9E3779B97F4A7C15)  # fixed odd multiplier
-
+from ..functions.passages import KEY, windows
 
-def windows(data: bytes) -> np.ndarray:
-    """Every run of eight bytes as one integer, without a copy."""
-    return np.ndarray(max(0, len(data) - KEY + 1), dtype="<u8", buffer=data, strides=(1,)) if len(data) >= KEY else np.empty(0, dtype="<u8")
+_MULT = np.uint64(0x9E3779B97F4A7C15)  # fixed odd multiplier
 
 
 class KeyScan:
