@@ -20,10 +20,13 @@ WINDOW, STRIDE = 32, 24
 RARE_STAYS, OTHERS_STAY = 0.3, 0.9
 
 
+def bare(word: str) -> str:
+    return word.strip(".,;:!?\"'()[]").lower()
+
+
 def word_slots(word: str) -> tuple[int, list[int]]:
     """Slots of the word and of its character trigrams."""
-    w = word.strip(".,;:!?\"'()[]").lower()
-    marked = f"^{w}$".encode("utf-8", "surrogatepass")
+    marked = f"^{bare(word)}$".encode("utf-8", "surrogatepass")
     h = xxhash.xxh32_intdigest
     return h(marked) % WORD_SLOTS, [h(marked[i : i + 3]) % CHAR_SLOTS for i in range(max(1, len(marked) - 2))]
 
@@ -191,9 +194,21 @@ class TextScorer:
         return np.where(np.isfinite(best), 1 / (1 + np.exp(-np.clip(best, -60, 60))), 0.0).tolist()
 
 
+def word_odds(words: list[list[str]], y: np.ndarray) -> dict[str, float]:
+    """How far a word's share of the toxic texts exceeds its share of the clean ones, in standard deviations."""
+    seen = [Counter(w for ws, label in zip(words, y) if label == c for w in set(map(bare, ws))) for c in (0, 1)]
+    clean, toxic = max(1, int((y == 0).sum())), max(1, int((y == 1).sum()))
+    out = {}
+    for w in seen[0].keys() | seen[1].keys():
+        both = (seen[0][w] + seen[1][w] + 1) / (clean + toxic + 2)
+        out[w] = (seen[1][w] / toxic - seen[0][w] / clean) / (both * (1 - both) * (1 / clean + 1 / toxic)) ** 0.5
+    return out
+
+
 def train(texts: list[str], labels: list[int], rounds: int = 7, steps: int = 50, batch: int = 128, rate: float = 0.015, seed: int = 7) -> Network:
     """Windows are picked anew in each round: a text stands for its highest window, and clean
-    texts also for a random one; half of the clean picks are those that look most toxic. Labels come with texts only, never with windows."""
+    texts also for a random one; half of the clean picks are those that look most toxic. Labels come with texts only, never with windows.
+    Before the network has learned anything, a window is as high as the word in it that speaks most for a toxic text."""
     net, g = Network(seed), np.random.default_rng(seed)
     words = [t.split() for t in texts]
     slots_of = {w: word_slots(w) for ws in words for w in ws}
@@ -206,6 +221,8 @@ def train(texts: list[str], labels: list[int], rounds: int = 7, steps: int = 50,
         net.p["e"][:] = 20.0 if len(pos) else -20.0
         net.p["o"][:] = 0
         return net
+    speaks = word_odds(words, y)
+    logit = np.concatenate([np.append(np.array([speaks[bare(w)] for w in ws]), -np.inf)[s].max(axis=1) for ws, s in zip(words, shape)])
     for k in range(rounds):
         if k:
             logit, owner = TextScorer(net, 1 << 30, slots_of.__getitem__).window_logits(words)
@@ -213,13 +230,12 @@ def train(texts: list[str], labels: list[int], rounds: int = 7, steps: int = 50,
         pick = []
         for i in range(len(words)):
             n = len(shape[i])
-            top = int(logit[first[i] : first[i] + n].argmax()) if k else int(g.integers(n))
+            top = int(logit[first[i] : first[i] + n].argmax())
             pick.append((i, top))
             if not y[i]:
                 pick.append((i, int(g.integers(n))))
         by = [[x for x in pick if y[x[0]] == c] for c in (0, 1)]
-        if k:  # clean windows that look toxic come first
-            by[0].sort(key=lambda x: -logit[first[x[0]] + x[1]])
+        by[0].sort(key=lambda x: -logit[first[x[0]] + x[1]])  # clean windows that look toxic come first
         adam.rate = rate * (1 - k / rounds) + 1e-4
         for _ in range(steps):
             rows = [by[c][j] for c, top, n in ((0, 0.1, 0.3), (0, 1, 0.4), (1, 1, 0.3)) for j in g.integers(max(1, int(top * len(by[c]))), size=int(n * batch))]
