@@ -157,7 +157,8 @@ def test_streamed_codes_equal_batch_codes(spark, sf, tmp_path):
     stream = read_stream(spark, str(tmp_path / "in"), VECTOR_SCHEMA)
     got = drained(encode_stream(stream, s), spark, "codes")
     batch = encode(v, s)
-    assert got.count() == batch.count() and got.exceptAll(batch).count() == 0
+    near = lambda x: x.select("vec_id", "code", *[F.round(c, 9) for c in ("norm", "rho", "zbar_sq")])  # noqa: E731  (sums of batches of other sizes differ in their last bits)
+    assert got.count() == batch.count() and near(got).exceptAll(near(batch)).count() == 0
     q = write_stream(encode_stream(read_stream(spark, str(tmp_path / "in"), VECTOR_SCHEMA), s), s, str(tmp_path / "out"), str(tmp_path / "ck"))
     q.processAllAvailable()
     q.stop()
