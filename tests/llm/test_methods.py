@@ -5,6 +5,8 @@ import random
 import re
 import string
 import time
+import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -13,7 +15,7 @@ from pyspark.sql import functions as F
 from rotquant.llm import decontaminate as dc
 from rotquant.llm import licences, neardup, pii, quality, secrets, topk, toxicity
 from rotquant.llm.common import table
-from rotquant.llm.gru import HIDDEN, Network, TextScorer, windows, word_slots
+from rotquant.llm.gru import HIDDEN, Network, TextScorer, bare, windows, word_slots
 from rotquant.llm.wordbpe import GENERATION, WordEncoder, public_path
 
 LOWER, UPPER, DIGITS = string.ascii_lowercase, string.ascii_uppercase, string.digits
@@ -264,11 +266,13 @@ def test_toxic_texts_are_told_apart_on_held_out_rows(spark):
     docs, labels = table(spark, sf, "documents", "doc_id", "text"), table(spark, sf, "labels", "doc_id", "toxic")
     net = toxicity.fit(docs, labels)
     known = {r["doc_id"]: r["toxic"] for r in labels.where("toxic IS NOT NULL").collect()}
-    some = docs.join(F.broadcast(labels.select("doc_id")), "doc_id", "left_semi").where(toxicity.held_out(F.col("doc_id")))
-    rows = [(r["score"], known[r["doc_id"]]) for r in toxicity.toxicity(some, net).collect() if r["held_out"]]
-    bad, good = [s for s, y in rows if y], [s for s, y in rows if not y]
-    auc = np.mean([(np.array(good) < s).mean() + (np.array(good) == s).mean() / 2 for s in bad])
-    assert len(bad) > 20 and auc > 0.98
+    some = docs.join(F.broadcast(labels.select("doc_id")), "doc_id", "left_semi")
+    texts = {r["doc_id"]: {bare(w) for w in (r["text"] or "").split()} for r in some.collect()}
+    rows = [(r["score"], r["doc_id"]) for r in toxicity.toxicity(some.where(toxicity.held_out(F.col("doc_id"))), net).collect() if r["held_out"]]
+    seen = [Counter(w for i, y in known.items() if y == c and zlib.crc32(str(i).encode()) % 4 != 2 for w in texts.get(i, ())) for c in (0, 1)]
+    telling = {w for w, n in seen[1].items() if n >= 10 and not seen[0][w]}  # words of toxic training texts only; not all toxic texts hold one
+    plain, clean = [s for s, i in rows if known.get(i) == 1 and texts[i] & telling], [s for s, i in rows if known.get(i) == 0]
+    assert len(plain) > 30 and np.mean(np.array(plain) >= toxicity.THRESHOLD) > 0.95 and np.mean(np.array(clean) >= toxicity.THRESHOLD) < 0.06
 
 
 # near-duplicates ------------------------------------------------------------------
