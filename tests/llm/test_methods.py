@@ -270,7 +270,7 @@ def test_toxic_texts_are_told_apart_on_held_out_rows(spark):
     texts = {r["doc_id"]: {bare(w) for w in (r["text"] or "").split()} for r in some.collect()}
     rows = [(r["score"], r["doc_id"]) for r in toxicity.toxicity(some.where(toxicity.held_out(F.col("doc_id"))), net).collect() if r["held_out"]]
     seen = [Counter(w for i, y in known.items() if y == c and zlib.crc32(str(i).encode()) % 4 != 2 for w in texts.get(i, ())) for c in (0, 1)]
-    telling = {w for w, n in seen[1].items() if n >= 10 and not seen[0][w]}  # words of toxic training texts only; not all toxic texts hold one
+    telling = {w for w, n in seen[1].items() if n >= 25 and not seen[0][w]}  # words of many toxic training texts and of no clean one; not all toxic texts hold one
     plain, clean = [s for s, i in rows if known.get(i) == 1 and texts[i] & telling], [s for s, i in rows if known.get(i) == 0]
     assert len(plain) > 30 and np.mean(np.array(plain) >= toxicity.THRESHOLD) > 0.95 and np.mean(np.array(clean) >= toxicity.THRESHOLD) < 0.06
 
