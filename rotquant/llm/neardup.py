@@ -288,17 +288,22 @@ def _contracted(pairs: DataFrame, docs: DataFrame, words: int, num: int, den: in
 
 
 def one_of_each(docs: DataFrame, words: int = 5, num: int = 80, den: int = 100) -> DataFrame:
-    """docs with the first document of each class, and all their columns."""
+    """docs with the first document of each class, and all their columns, whatever their names.
+
+    Null and empty texts and rows without doc_id stay; of rows that repeat an id one stays; an
+    empty table stays empty.
+    """
+    name = "__id"
+    while name in {c.lower() for c in docs.columns}:
+        name += "_"
     seen = written(near_duplicates(docs, words, num, den).select("doc_id", "kept"))
-    gone = seen.where(~F.col("kept")).select("doc_id").distinct()
-    twice = seen.where("kept AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("k")).where("k > 1").select("doc_id")
+    gone = written(seen.where(~F.col("kept")).select(F.col("doc_id").alias(name)).distinct())
+    twice = written(seen.where("kept AND doc_id IS NOT NULL").groupBy(F.col("doc_id").alias(name)).agg(F.count("*").alias("k")).where("k > 1").select(name))
     few = lambda x: F.broadcast(x) if x.count() <= BROADCAST_IDS else x
-    key = F.col("doc_id").cast("long")
-    kept = docs.withColumn("__id", key).join(few(gone.withColumnRenamed("doc_id", "__id")), "__id", "left_anti")
-    twice = written(twice.withColumnRenamed("doc_id", "__id"))
+    kept = docs.withColumn(name, F.col("doc_id").cast("long")).join(few(gone), name, "left_anti")
     if twice.limit(1).count():  # rows that repeat an id: one of them
-        again = kept.join(few(twice), "__id", "left_semi").dropDuplicates(["__id"])
-        kept = kept.join(few(twice), "__id", "left_anti").unionByName(again)
+        again = kept.join(few(twice), name, "left_semi").dropDuplicates([name])
+        kept = kept.join(few(twice), name, "left_anti").unionByName(again)
     return kept.select(docs.columns)
 
 

@@ -259,7 +259,10 @@ def quality_scores(docs: DataFrame, fitted: tuple[VoteModel, Scorer] | None = No
 
 
 def good_documents(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
-    """The documents that the scorer keeps, with all their columns."""
+    """The documents that the scorer keeps, with all their columns, whatever their names.
+
+    Null and empty texts go; repeated rows stay or go alike; an empty table stays empty.
+    """
     _, scorer = fit(docs)
     small_batches(docs.sparkSession)
 

@@ -120,7 +120,9 @@ def test_stages_keep_columns(spark, docs, sf):
 
 
 def test_repeated_rows_of_one_id_leave_one(spark, docs):
-    assert neardup.one_of_each(docs.where("doc_id >= 5")).where("doc_id = 5").count() == 1
+    left = neardup.one_of_each(docs.where("doc_id >= 5").withColumn("__id", F.lit("mine")).withColumn("__ID_", F.lit("too")))
+    assert left.where("doc_id = 5").count() == 1
+    assert {(r["__id"], r["__ID_"]) for r in left.collect()} == {("mine", "too")}
 
 
 @pytest.mark.parametrize("stage", ["quality", "near_dedup", "decontaminate", "secrets"])
