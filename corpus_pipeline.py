@@ -9,6 +9,11 @@ reread as the next stage's documents. All stages but the last keep the columns o
 * decontaminate: documents that hold a benchmark item within the edit budget go.
 * secrets: every secret is replaced by a mask; no document goes.
 * packing: what is left becomes pieces of sequences of 4096 tokens.
+
+Defined cases: null and empty texts are rejected by the first stage (later ones would keep
+them); repeated rows leave one after the second; ties between copies go to the smallest
+doc_id; an empty table gives no piece; more columns, whatever their names, pass through all
+stages but the last.
 """
 
 from __future__ import annotations
