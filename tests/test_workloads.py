@@ -84,6 +84,20 @@ def test_attention_in_parts_is_attention(spark, tokens, monkeypatch):
     assert err["fine"] < err["gauss_scalar"] < err["signbit"]
 
 
+def test_attention_errors_by_token_are_those_of_all_positions(spark, tokens, monkeypatch):
+    """Blocks of any size; a token that comes in many sequences, and often in one, is coded once in each block."""
+    monkeypatch.setattr(C, "PAIRS", 64)
+    specs = {"gauss_scalar:0": C.CacheSpec("gauss_scalar", 1), "gauss_scalar:1": C.CacheSpec("gauss_scalar", 1, seed=1), "signbit:0": C.CacheSpec("sphere_scalar_signbit", 1, "raw")}
+    rows = tokens.unionByName(spark.range(3000).selectExpr("7L AS seq_id", "id AS pos", "CASE WHEN id % 3 = 0 THEN 'a' ELSE 'the' END AS token"))
+    own = C.outlier_channels(rows)
+    want = {r["method"]: r for r in C.attention_error(C.attend(rows, own, specs)).collect()}
+    for block in (1, 1 << 20):
+        got = C.attention_error_by_token(rows, own, specs, block).collect()
+        assert {r["method"]: r["n"] for r in got} == {m: r["n"] for m, r in want.items()}
+        for r in got:
+            assert (r["output_error"], r["logit_error"]) == pytest.approx((want[r["method"]]["output_error"], want[r["method"]]["logit_error"]), rel=1e-9)
+
+
 def test_needles_are_found_at_full_precision(spark):
     docs, items = read_table(spark, SF, "documents", "doc_id", "text"), read_table(spark, SF, "benchmark", "item_id", "text")
     hits = C.needle_hits(docs, items, {"coarse": C.CacheSpec("sphere_scalar", 1)}).cache()
