@@ -46,7 +46,7 @@ def test_two_engines_agree(spark, duck, name):
     assert plain(registry.queries()[name](spark, SF).toPandas()) == plain(duck.sql(sql if isinstance(sql, str) else sql()).df())
 
 
-MOVED = ["theory_computed", "shannon_gap", "full_sphere_bounds", "effective_bits", "codebook_distortion", "chebyshev", "bit_curves"]
+MOVED = ["theory_table", "theory_computed", "shannon_gap", "full_sphere_bounds", "effective_bits", "codebook_distortion", "chebyshev", "bit_curves"]
 
 
 @pytest.mark.parametrize("name", MOVED)
