@@ -88,3 +88,20 @@ def test_heads_and_seeds_are_tasks_of_their_own(spark):
     out = C.errors_by_sequence(tokens, C.outlier_channels(tokens), specs)
     assert out.rdd.getNumPartitions() >= 2 * C.HEADS
     assert sorted((r["seq_id"], r["head"], r["method"]) for r in out.collect()) == sorted((i, h, m) for i in range(5) for h in range(C.HEADS) for m in specs)
+
+
+def test_rows_are_rotated_once_for_all_methods(monkeypatch):
+    """Methods with one rotation share the rotated rows; their left sides are those they have alone."""
+    from rotquant.model import QuantizerSpec
+    from rotquant.operators import search as R
+
+    x = np.random.default_rng(8).standard_normal((50, 128))
+    specs = [QuantizerSpec("gauss_scalar", "unbiased", 128, 1, 2), QuantizerSpec("grid_dir", "unbiased", 128, 1, 3), QuantizerSpec("sphere_scalar_signbit", "raw", 128, 1, 2), QuantizerSpec("gauss_scalar", "unbiased", 128, 1, 2, seed=1)]
+    caches = [C.KeyValueCache(C.CacheSpec(f, 1, seed=k), {0: np.arange(32) + k}) for f in ("gauss_scalar", "grid_dir") for k in range(2)]
+    methods = [K.codec(s) for s in specs] + caches
+    alone = [R.left(c, x) for c in methods]
+    calls, rotate = [], K.Codec.rotate
+    monkeypatch.setattr(K.Codec, "rotate", lambda self, rows: calls.append(self.turn) or rotate(self, rows))
+    shared = {}
+    assert all((R.left(c, x, shared) == a).all() for c, a in zip(methods, alone))
+    assert len(calls) == 2 + 2 * 2  # two seeds of codecs, two parts for each of two seeds of caches
